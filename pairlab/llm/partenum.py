@@ -342,19 +342,19 @@ def _grouped(docs: DataFrame, percent: int, shingle: int, block: int) -> DataFra
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("rid", F.xxhash64("doc_id", "text"))
     narrow = materialize(docs.mapInArrow(_sizes(shingle), "rid long, doc_id long, n long, key long"), "sizes")
     total = narrow.agg(F.sum("n")).first()[0] or 0
-    buckets = max(partitions, total // 1_000_000 + 1)
+    buckets = max(256, total // 1_000_000 + 1)
     classes = materialize(narrow.filter("n > 0").groupBy("key").agg(F.min("rid").alias("rid"), F.max("n").alias("n"), F.min("doc_id").alias("least")), "classes")
 
     sent = docs.select("text").mapInArrow(_sent_signatures(shingle, percent, buckets), "bucket int, low binary, high binary, keys binary, met binary")
     candidates = materialize(sent.groupBy("bucket").applyInArrow(_shared, "key long").distinct(), "candidates")
     chosen = classes.join(candidates, "key", "left_semi")
-    texts = materialize(docs.select("rid", "text").join(chosen.select("rid"), "rid", "left_semi"), "texts")
+    texts = materialize(docs.select("rid", "text").join(chosen.select("rid").hint("shuffle_hash"), "rid", "left_semi"), "texts")
 
     alone = texts.select("text").mapInArrow(_sent_elements(shingle, buckets), "bucket int, elements binary, keys binary").groupBy("bucket").applyInArrow(_alone, "key long, u long")
     alone = alone.groupBy("key").agg(F.sum("u").alias("u"))
     left = chosen.join(alone, "key", "left").filter(100 * F.coalesce("u", F.lit(0)) <= (100 - percent) * F.col("n"))
     left = materialize(left.select("rid", "key"), "possible")
-    sets = texts.join(left.select("rid"), "rid", "left_semi").select("text").mapInArrow(_class_rows(shingle), "key long, elements binary")
+    sets = texts.join(left.select("rid").hint("shuffle_hash"), "rid", "left_semi").select("text").mapInArrow(_class_rows(shingle), "key long, elements binary")
     sets = materialize(sets, "sets")
 
     signs = materialize(sets.mapInArrow(_class_signatures(percent), "sig long, key long"), "signs")
