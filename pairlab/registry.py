@@ -1,4 +1,23 @@
 """Queries of all modules, and the DuckDB SQL they are held against."""
 
+from __future__ import annotations
+
 QUERIES: dict = {}
 ORACLE_SQL: dict = {}
+
+
+def query(name: str, sql: str | None = None):
+    """Registers a function of (spark, sf_dir) under name, with the SQL that gives the same rows."""
+
+    def put(f):
+        QUERIES[name] = f
+        if sql:
+            ORACLE_SQL[name] = sql
+        return f
+
+    return put
+
+
+from pairlab.operators import workloads  # noqa: E402, F401  fills the registry
+from pairlab.operators import workloads_data, workloads_general, workloads_policy, workloads_rl  # noqa: E402, F401
+from pairlab.streaming import workloads as _streams  # noqa: E402, F401
