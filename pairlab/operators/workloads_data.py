@@ -8,7 +8,7 @@ from pairlab.operators import curate as C
 from pairlab.operators.workloads import ROLL
 from pairlab.registry import query
 from pairlab.sources.fixtures import rollouts
-from pairlab.sources.tables import load, words
+from pairlab.sources.tables import load, saved, shingles, words
 
 
 @query("pairs_complete", f"WITH {ROLL} SELECT pair_id, count(*) AS n FROM roll GROUP BY pair_id HAVING bool_or(side = 'pre') AND bool_or(side = 'post')")
@@ -116,9 +116,7 @@ def split_leakage(spark, d):
 @query("bench_contamination", "WITH g AS (SELECT DISTINCT array_to_string(w[i:i + 7], ' ') AS g FROM (SELECT w, unnest(range(1, len(w) - 6)) AS i FROM (SELECT regexp_extract_all(text, '\\S+') AS w FROM benchmark) WHERE len(w) >= 8)), s AS (SELECT doc_id, array_to_string(w[i:i + 7], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 6)) AS i FROM (SELECT doc_id, regexp_extract_all(text, '\\S+') AS w FROM documents) WHERE len(w) >= 8)) SELECT doc_id, count(DISTINCT g) AS n_hits FROM s JOIN g USING (g) GROUP BY doc_id")
 def bench_contamination(spark, d, n: int = 8):
     def grams(df, *keys):
-        w = df.select(*keys, words(F.col("text")).alias("w")).filter(F.size("w") >= n)
-        runs = F.transform(F.sequence(F.lit(1), F.size("w") - (n - 1)), lambda i: F.array_join(F.slice(F.col("w"), i, F.lit(n)), " "))
-        return w.select(*keys, F.explode(F.when(F.size("w") >= n, runs)).alias("g"))
+        return df.select(*keys, F.explode_outer(shingles(F.col("text"), n)).alias("g")).filter("g is not null")
 
     hits = grams(load(spark, d, "documents", "doc_id", "text"), "doc_id").join(grams(load(spark, d, "benchmark", "text")).distinct(), "g", "left_semi")
     return hits.distinct().groupBy("doc_id").agg(F.count("*").alias("n_hits"))
@@ -171,9 +169,8 @@ def near_pairs_exact(spark, d, shingle: int = 5):
     """Pairs with Jaccard of one half or more by a prefix filter: a pair shares one of each set's rarest shingles."""
     from pyspark.sql import Window as W
 
-    w = load(spark, d, "documents", "doc_id", "text").select("doc_id", words(F.col("text")).alias("w")).filter(F.size("w") >= shingle)
-    runs = F.transform(F.sequence(F.lit(1), F.size("w") - (shingle - 1)), lambda i: F.xxhash64(F.array_join(F.slice(F.col("w"), i, F.lit(shingle)), " ")))
-    sets = w.select("doc_id", F.when(F.size("w") >= shingle, F.array_distinct(runs)).alias("s"))
+    hashed = F.array_distinct(F.transform(shingles(F.col("text"), shingle), lambda g: F.xxhash64(g)))
+    sets = saved(load(spark, d, "documents", "doc_id", "text").select("doc_id", hashed.alias("s")).filter("s is not null"), "sets")
     flat = sets.select("doc_id", F.size("s").alias("n"), F.explode("s").alias("g"))
     df = flat.groupBy("g").agg(F.count("*").alias("df"))
     place = F.row_number().over(W.partitionBy("doc_id").orderBy("df", "g"))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -42,6 +42,13 @@ def saved(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def words(text) :
+def words(text: Column) -> Column:
     """Whitespace-separated words of a text column."""
     return F.filter(F.split(text, "\\s+"), lambda w: w != "")
+
+
+def shingles(text: Column, n: int) -> Column:
+    """Runs of n words, joined by spaces; null for fewer words. The words are bound once, so that no rewrite of the
+    plan splits the text again for every run."""
+    runs = lambda w: F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - (n - 1), F.lit(1))), lambda i: F.array_join(F.slice(w, i, F.lit(n)), " ")))
+    return F.element_at(F.transform(F.array(words(text)), runs), 1)
