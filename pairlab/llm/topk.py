@@ -56,7 +56,7 @@ def product(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 def best(score: np.ndarray, ids: np.ndarray, own: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     """Rows and columns of each row's k highest scores, ties to smaller ids; a row's own id is no candidate."""
-    low = np.iinfo(np.int64).min
+    low = np.iinfo(np.int64).min + 1  # can be negated
     score = np.where(ids[None] == own[:, None], low, score)
     n = score.shape[1]
     if n > k:
