@@ -9,7 +9,7 @@ there is a signature.  Signatures of no element are only used where a set has so
 so the join stays exact.
 
 1. Every text: size and hash of its set.  Equal sets are one class from here on.
-2. Signatures of all classes travel in packed blocks; classes that share one are candidates.  Within a block
+2. Signatures of all classes travel in packed blocks (texts of candidates, later, in compressed ones); classes that share one are candidates.  Within a block
    of texts a signature is sent once, so a hot one costs a row a block.
 3. Of the candidates, those go on that share so many shingles with other candidates that a link is possible.
 4. Candidates that share a signature are linked to clusters; in a cluster, blocks of sets meet blocks of
@@ -246,6 +246,66 @@ def _alone(key, table):
     return pa.table({"key": owner.view(np.int64), "u": n})
 
 
+def _packed_texts(buckets: int):
+    """bucket, and the rows of a block of texts that belong there: their rids, sizes and compressed bytes."""
+
+    def run(batches):
+        codec = pa.Codec("zstd", compression_level=3)
+        for batch in batches:
+            for a, b, _, _ in _batches(batch):
+                rid = batch.column("rid")[a:b].to_numpy()
+                bucket = ((rid.view(_U) >> _U(40)) * _U(buckets) >> _U(24)).astype(np.int64)
+                order = np.argsort(bucket, kind="stable")
+                buf, off = tb.utf8(batch.column("text")[a:b].take(pa.array(order)))
+                rid, bucket = rid[order], bucket[order]
+                edge = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1], [True]]))
+                rows = [(int(bucket[x]), rid[x:y].tobytes(), np.diff(off[x : y + 1]).tobytes(), codec.compress(buf[off[x] : off[y]].tobytes(), asbytes=True)) for x, y in zip(edge, edge[1:])]
+                cols = list(zip(*rows))
+                yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:])], names=["bucket", "rids", "sizes", "texts"])
+
+    return run
+
+
+def _picked(batches):
+    """rid and text of the wanted rows. Rows come by bucket, in each the wanted rids (in wanted) before the packed texts."""
+    codec = pa.Codec("zstd")
+    here, want = None, np.zeros(0, np.int64)
+    for batch in batches:
+        bucket, wanted = batch.column("bucket").to_numpy(), batch.column("wanted")
+        ids = np.flatnonzero(wanted.is_valid().to_numpy(zero_copy_only=False))
+        known, of = wanted.take(pa.array(ids)).to_numpy(), bucket[ids]
+        packed = np.setdiff1d(np.arange(len(bucket)), ids, assume_unique=True)
+        rids, texts, held = [], [], 0
+        for at in np.unique(bucket).tolist():
+            more = known[of == at]
+            want = np.concatenate([want, more]) if at == here else more
+            here = at
+            for k in packed[bucket[packed] == at].tolist():
+                rid = np.frombuffer(batch.column("rids")[k].as_py(), np.int64)
+                hit = np.flatnonzero(np.isin(rid, want))
+                if len(hit):
+                    end = np.cumsum(np.frombuffer(batch.column("sizes")[k].as_py(), np.int64))
+                    raw = codec.decompress(batch.column("texts")[k].as_py(), int(end[-1]), asbytes=True)
+                    rids.append(rid[hit])
+                    texts += [raw[end[h - 1] if h else 0 : end[h]] for h in hit.tolist()]
+                    held += len(raw)
+                if held > 16_000_000:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(rids)), pa.array(texts, pa.binary()).cast(pa.string())], names=["rid", "text"])
+                    rids, texts, held = [], [], 0
+        if texts:
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(rids)), pa.array(texts, pa.binary()).cast(pa.string())], names=["rid", "text"])
+
+
+def _pick(texts: DataFrame, wanted: DataFrame, buckets: int) -> DataFrame:
+    """The rows (rid, text) of texts whose rid is in wanted. Texts travel in compressed blocks, one a bucket and block
+    of texts; a task holds the wanted rids of one bucket and one packed block."""
+    place = F.shiftrightunsigned(F.shiftrightunsigned("rid", 40) * buckets, 24).cast("int")
+    sent = texts.select("rid", "text").mapInArrow(_packed_texts(buckets), "bucket int, rids binary, sizes binary, texts binary").withColumn("wanted", F.lit(None).cast("long"))
+    both = sent.unionByName(wanted.select(place.alias("bucket"), F.col("rid").alias("wanted")), allowMissingColumns=True)
+    ordered = both.repartition(buckets, "bucket").sortWithinPartitions("bucket", F.col("wanted").isNull())
+    return ordered.mapInArrow(_picked, "rid long, text string")
+
+
 def _class_rows(shingle: int):
     def run(batches):
         for batch in batches:
@@ -348,13 +408,14 @@ def _grouped(docs: DataFrame, percent: int, shingle: int, block: int) -> DataFra
     sent = docs.select("text").mapInArrow(_sent_signatures(shingle, percent, buckets), "bucket int, low binary, high binary, keys binary, met binary")
     candidates = materialize(sent.groupBy("bucket").applyInArrow(_shared, "key long").distinct(), "candidates")
     chosen = classes.join(candidates, "key", "left_semi")
-    texts = materialize(docs.select("rid", "text").join(chosen.select("rid").hint("shuffle_hash"), "rid", "left_semi"), "texts")
+    blocks = max(partitions, total // 16_000_000 + 1)
+    texts = materialize(_pick(docs, chosen.select("rid"), blocks), "texts", codec="zstd")
 
     alone = texts.select("text").mapInArrow(_sent_elements(shingle, buckets), "bucket int, elements binary, keys binary").groupBy("bucket").applyInArrow(_alone, "key long, u long")
     alone = alone.groupBy("key").agg(F.sum("u").alias("u"))
     left = chosen.join(alone, "key", "left").filter(100 * F.coalesce("u", F.lit(0)) <= (100 - percent) * F.col("n"))
     left = materialize(left.select("rid", "key"), "possible")
-    sets = texts.join(left.select("rid").hint("shuffle_hash"), "rid", "left_semi").select("text").mapInArrow(_class_rows(shingle), "key long, elements binary")
+    sets = _pick(texts, left.select("rid"), blocks).select("text").mapInArrow(_class_rows(shingle), "key long, elements binary")
     sets = materialize(sets, "sets")
 
     signs = materialize(sets.mapInArrow(_class_signatures(percent), "sig long, key long"), "signs")

@@ -18,13 +18,13 @@ def shared_dir(spark: SparkSession) -> str:
     return _own.setdefault("dir", tempfile.mkdtemp(prefix="pairlab-"))
 
 
-def materialize(df: DataFrame, name: str, partition_by: tuple[str, ...] = ()) -> DataFrame:
+def materialize(df: DataFrame, name: str, partition_by: tuple[str, ...] = (), codec: str = "snappy") -> DataFrame:
     """Write df once as Parquet under a fresh name and read it back; cuts the lineage.
 
     A lost executor costs only its running tasks, since the files are in shared storage.
     """
     path = f"{shared_dir(df.sparkSession)}/pairlab-llm/{name}-{uuid.uuid4().hex}"
-    df.write.partitionBy(*partition_by).parquet(path)
+    df.write.partitionBy(*partition_by).option("compression", codec).parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
