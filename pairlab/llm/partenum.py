@@ -135,7 +135,7 @@ def signatures(grams: np.ndarray, first: np.ndarray, percent: int = 80) -> tuple
     return np.concatenate(out), np.concatenate(owner)
 
 
-def _batches(batch: pa.RecordBatch, limit: int = 10_000_000) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+def _batches(batch: pa.RecordBatch, limit: int = 5_000_000) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     buf, off = tb.utf8(batch.column("text"))
     for a, b in tb.chunks(off, limit):
         yield a, b, buf[off[a] : off[b]], off[a : b + 1] - off[a]
@@ -252,7 +252,7 @@ def _packed_texts(buckets: int):
     def run(batches):
         codec = pa.Codec("zstd", compression_level=3)
         for batch in batches:
-            for a, b, _, _ in _batches(batch):
+            for a, b, _, _ in _batches(batch, 10_000_000):
                 rid = batch.column("rid")[a:b].to_numpy()
                 bucket = ((rid.view(_U) >> _U(40)) * _U(buckets) >> _U(24)).astype(np.int64)
                 order = np.argsort(bucket, kind="stable")
