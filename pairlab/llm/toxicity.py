@@ -202,7 +202,7 @@ def fit(texts: list[str], label: np.ndarray, s: Settings = Settings(), prior: fl
     count = 0
     for epoch in range(s.epochs):
         if epoch >= 2:
-            best = net.rows(buf, off)[0]
+            best = np.concatenate([net.rows(buf[off[a] : off[b]], off[a : b + 1] - off[a])[0] for a, b in tb.chunks(off, 500_000)])
         order = np.lexsort((-best + 1e-6 * g.random(len(best)), row))
         top = order[np.flatnonzero(np.concatenate([[True], row[order][1:] != row[order][:-1]]))]
         shuffled = np.lexsort((g.random(len(row)), row))
