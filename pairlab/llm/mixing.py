@@ -187,7 +187,8 @@ def resample(docs: DataFrame, labels: DataFrame, m: Mixture = Mixture()) -> Data
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     model = classifier(slim, labels, m)
     member = memberships(docs, model, m).withColumn("__h", F.xxhash64(F.col("doc_id").cast("long"), "text"))
-    # the fit reads a narrow table; the rows themselves are scored once more as they pass
-    history, _, _ = fit(materialize(member.select("__n", "__p"), "members"), model[0], m)
+    # written once: the fit reads two narrow columns, and no step of the rate scores a text again
+    member = materialize(member, "members", codec="zstd")
+    history, _, _ = fit(member.select("__n", "__p"), model[0], m)
     rated = member.withColumn("__r", rate_of(history, len(model[0])))
     return rated.withColumn("__c", F.explode(F.sequence(F.lit(1), F.greatest(copies("__r", "__h"), F.lit(1)).cast("int")))).filter(copies("__r", "__h") > 0).select(*docs.columns)
