@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pairlab.operators.workloads_rl import EV
 from pairlab.registry import query
 from pairlab.sources.tables import shared_path
 
@@ -33,23 +34,23 @@ def drain(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
     return spark.read.schema(df.schema).parquet(f"{path}/data/*")
 
 
-def _day(c: str = "ts") -> str:
-    return f"epoch({c})"
+#: append mode gives what has ended before the watermark
+MARK = "(SELECT max(ts) - INTERVAL 10 MINUTE FROM events)"
 
 
-@query("stream_tumbling")
+@query("stream_tumbling", "SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS start, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1")
 def stream_tumbling(spark, d):
     out = stream(spark, d).groupBy(F.window("time", "1 hour")).agg(F.count("*").alias("n"), F.round(F.sum("value"), 4).alias("total"))
     return drain(out, "tumbling", "update").groupBy("window").agg(F.max_by("n", "n").alias("n"), F.max_by("total", "n").alias("total")).select(F.unix_timestamp("window.start").alias("start"), "n", "total")
 
 
-@query("stream_sliding")
+@query("stream_sliding", f"WITH w AS (SELECT date_trunc('hour', ts) - to_hours(CAST(i AS INTEGER)) AS s, event_type FROM events, range(0, 6) r(i)) SELECT CAST(epoch(s) AS BIGINT) AS start, count(*) AS n, count(*) FILTER (event_type = 'purchase') AS hits FROM w GROUP BY s HAVING s + INTERVAL 6 HOUR <= {MARK}")
 def stream_sliding(spark, d):
     out = stream(spark, d).groupBy(F.window("time", "6 hours", "1 hour")).agg(F.count("*").alias("n"), F.count_if(F.col("event_type") == "purchase").alias("hits"))
     return drain(out, "sliding", "append").select(F.unix_timestamp("window.start").alias("start"), "n", "hits")
 
 
-@query("stream_session")
+@query("stream_session", f"WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 2 HOUR THEN 0 ELSE 1 END AS fresh FROM events), s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS start, count(*) AS n FROM s GROUP BY user_id, k HAVING max(ts) + INTERVAL 2 HOUR <= {MARK}")
 def stream_session(spark, d):
     out = stream(spark, d).groupBy("user_id", F.session_window("time", "2 hours")).agg(F.count("*").alias("n"))
     return drain(out, "session", "append").select("user_id", F.unix_timestamp("session_window.start").alias("start"), "n")
@@ -73,7 +74,7 @@ def stream_join_verdict(spark, d):
     return drain(a.join(b, F.expr("event_id = other AND judged BETWEEN time - interval 1 minute AND time + interval 1 minute")).select("event_id"), "joined")
 
 
-@query("stream_group_advantage")
+@query("stream_group_advantage", f"WITH {EV}, g AS (SELECT query_id, iteration, avg(reward) AS m, stddev_pop(reward) AS s, min(reward) = max(reward) AS dead FROM ev GROUP BY ALL HAVING count(*) = 8) SELECT query_id, CAST(iteration AS BIGINT) AS iteration, event_id, round(CASE WHEN dead THEN 0 ELSE (reward - m) / s END, 6) AS advantage FROM ev JOIN g USING (query_id, iteration)")
 def stream_group_advantage(spark, d):
     """Advantages of each user's events in eights, emitted when a group is complete; the state holds seven rewards at most."""
     import pandas as pd

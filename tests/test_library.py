@@ -68,7 +68,7 @@ def test_paired_schedule_keeps_pairs(spark):
     assert len({(r.batch_id, r.pos) for r in rows}) == 100 and len({(r.batch_id, r.pair_id) for r in rows}) == 50
 
 
-ORACLE = ("pairwise_summary", "difficulty_hist", "sched_paired", "f1_levels", "group_advantage", "reject_keep_shortest", "prefs_zip", "obj_dpo", "obj_group_relative", "split_temporal", "context_expand_1hop", "surrogate_probs")
+ORACLE = ("pairwise_summary", "difficulty_hist", "sched_paired", "f1_levels", "group_advantage", "reject_keep_shortest", "prefs_zip", "obj_dpo", "obj_group_relative", "split_temporal", "context_expand_1hop", "surrogate_probs", "stream_tumbling", "stream_sliding", "stream_session", "stream_group_advantage")
 
 
 @pytest.mark.parametrize("name", ORACLE)
