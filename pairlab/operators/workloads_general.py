@@ -28,9 +28,16 @@ def range_split_band(s, d):
 
 @query("asof_checkpoint", "SELECT e.event_id, (SELECT max(p.event_id) FROM events p WHERE p.user_id = e.user_id AND p.event_type = 'purchase' AND (p.ts < e.ts OR (p.ts = e.ts AND p.event_id <= e.event_id)) AND NOT EXISTS (SELECT 1 FROM events q WHERE q.user_id = e.user_id AND q.event_type = 'purchase' AND (q.ts, q.event_id) > (p.ts, p.event_id) AND (q.ts, q.event_id) <= (e.ts, e.event_id))) AS last_purchase FROM events e WHERE e.user_id <= 30")
 def asof_checkpoint(s, d):
+    return last_purchases(load(s, d, "events").filter("user_id <= 30"))  # the users of its SQL
+
+
+def last_purchases(events):
+    """event_id and last_purchase, the user's latest purchase up to and with the event, of every event."""
     w = W.partitionBy("user_id").orderBy("ts", "event_id")
-    e = load(s, d, "events").filter("user_id <= 30")
-    return e.select("event_id", F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), ignorenulls=True).over(w).alias("last_purchase"))
+    return events.select("event_id", F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), ignorenulls=True).over(w).alias("last_purchase"))
+
+
+query("asof_checkpoint_all", "SELECT event_id, last_value(CASE WHEN event_type = 'purchase' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS last_purchase FROM events")(lambda s, d: last_purchases(load(s, d, "events")))
 
 
 query("agg_cube_class_side", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)")(lambda s, d: load(s, d, "lineitem").cube("l_returnflag", "l_linestatus").agg(F.count("*").alias("n")))

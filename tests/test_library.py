@@ -89,3 +89,16 @@ def test_one_shuffle_by_pair(spark):
 
     plan = pairwise.counts(rollouts(spark, SF))._jdf.queryExecution().executedPlan().toString()
     assert "CartesianProduct" not in plan
+
+
+def test_as_of_rows_of_every_user(spark):
+    sf = SF.replace("0.001", "0.01")
+    events = sorted(spark.read.parquet(sf + "/events.parquet").collect(), key=lambda r: (r.ts, r.event_id))
+    want, latest = set(), {}
+    for r in events:
+        if r.event_type == "purchase":
+            latest[r.user_id] = r.event_id
+        want.add((r.event_id, latest.get(r.user_id)))
+    assert max(r.user_id for r in events) > 30
+    got = registry.QUERIES["asof_checkpoint_all"](spark, sf).collect()
+    assert len(got) == len(events) and {tuple(r) for r in got} == want
