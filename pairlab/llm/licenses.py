@@ -6,7 +6,8 @@ after the last, so a passage as long as a template lies whole in one of them.  A
 per band of one row, meet the templates' values; with Jaccard similarity s the chance to miss is
 (1 - s) ^ bands, under 10^-7 for a template of one shingle in a window of twelve with the default 192 bands.  Candidates are verified: the share of the
 template's shingles in the window must reach ``percent``.  A window without any shingle of any template can
-meet none, so only the others are hashed.
+meet none, so only the others are hashed.  A template of fewer words than a shingle is one shingle of all its
+words, and is met by runs of as many words.
 
 Defined results: null or empty text has no match; rows that repeat get equal results; extra columns are
 ignored; an empty table gives an empty result; very long texts cost in proportion to their words.
@@ -36,6 +37,9 @@ TEMPLATES = {
     "rights_reserved": "All rights reserved. No part of this publication may be reproduced",
 }
 
+#: Notices that stand alone in a line, shorter than a shingle.
+NOTICES = {"rights_reserved_notice": "All rights reserved."}
+
 
 def words_of(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), "[^a-z0-9]+"), lambda w: w != "")
@@ -53,18 +57,20 @@ def _shingles(words: Column, shingle: int) -> Column:
 
 
 def template_table(spark: SparkSession, templates: dict[str, str], shingle: int = 5, bands: int = 192) -> tuple[DataFrame, DataFrame]:
-    """template, c (size class), t (shingles); and these with m (MinHash values). A template under shingle words is an error."""
+    """template, c (size class), g (words in a shingle), t (shingles); and these with m (MinHash values). A template without words is an error."""
     words = {k: re.findall("[a-z0-9]+", v.lower()) for k, v in templates.items()}
-    short = [k for k, w in words.items() if len(w) < shingle]
-    if short:
-        raise ValueError(f"templates of under {shingle} words: {short}")
-    rows = [(k, math.ceil(math.log2(len(w))), w[i : i + shingle]) for k, w in words.items() for i in range(len(w) - shingle + 1)]
-    runs = spark.createDataFrame(rows, "template string, c int, w array<string>").distinct()
-    hashed = runs.select("template", "c", F.xxhash64(*(F.element_at("w", k + 1) for k in range(shingle))).alias("x"))
+    empty = [k for k, w in words.items() if not w]
+    if empty:
+        raise ValueError(f"templates without words: {empty}")
+    size = {k: min(shingle, len(w)) for k, w in words.items()}
+    rows = [(k, math.ceil(math.log2(len(w))), size[k], w[i : i + size[k]]) for k, w in words.items() for i in range(len(w) - size[k] + 1)]
+    runs = spark.createDataFrame(rows, "template string, c int, g int, w array<string>").distinct()
+    # the hash passes over the nulls after a short one
+    hashed = runs.select("template", "c", "g", F.xxhash64(*(F.get("w", F.lit(k)) for k in range(shingle))).alias("x"))
     known: dict[tuple, set] = {}
     for r in hashed.collect():  # as many as the templates have words
-        known.setdefault((r["template"], r["c"]), set()).add(r["x"])
-    table = spark.createDataFrame([(k, c, sorted(x)) for (k, c), x in sorted(known.items())], "template string, c int, t array<long>")
+        known.setdefault((r["template"], r["c"], r["g"]), set()).add(r["x"])
+    table = spark.createDataFrame([(*k, sorted(x)) for k, x in sorted(known.items())], "template string, c int, g int, t array<long>")
     m = F.transform(F.sequence(F.lit(1), F.lit(bands)), lambda b: F.array_min(F.transform("t", lambda x: F.xxhash64(x, b))))
     return table, table.withColumn("m", m)
 
@@ -77,32 +83,34 @@ def scan(docs: DataFrame, templates: dict[str, str] | None = None, percent: int
         raise ValueError("too many templates to send to every task")
     plain, table = template_table(spark, templates, shingle, bands)
     known = plain.collect()  # bounded above
-    universe = sorted({x for r in known for x in r["t"]})
-    classes = sorted({r["c"] for r in known})
+    sizes = sorted({r["g"] for r in known})
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
 
-    def windows(words: Column) -> Column:
-        """All windows with a template's shingle: struct<c, start, s (shingles)>; class c has 2 * 2^c words from multiples of 2^c."""
+    def windows(words: Column, size: int) -> Column:
+        """All windows with a template's shingle of size words: struct<c, g, start, s (shingles)>; class c has 2 * 2^c words from multiples of 2^c."""
+        universe = sorted({x for r in known if r["g"] == size for x in r["t"]})
+        classes = sorted({r["c"] for r in known if r["g"] == size})
 
         def around(x: Column) -> Column:
             parts = []
             for c in classes:
                 step = 2**c
                 blocks = F.array_distinct(F.flatten(F.transform(x["hits"], lambda i: F.array(F.floor(i / step), F.floor(i / step) - 1))))
-                parts.append(F.transform(F.filter(blocks, lambda k: k >= 0), lambda k: F.struct(F.lit(c).alias("c"), (k * step).cast("int").alias("start"), F.array_distinct(F.slice(x["all"], (k * step).cast("int") + 1, 2 * step - shingle + 1)).alias("s"))))
+                parts.append(F.transform(F.filter(blocks, lambda k: k >= 0), lambda k: F.struct(F.lit(c).alias("c"), F.lit(size).alias("g"), (k * step).cast("int").alias("start"), F.array_distinct(F.slice(x["all"], (k * step).cast("int") + 1, 2 * step - size + 1)).alias("s"))))
             return F.concat(*parts)
 
         def hits(all: Column) -> Column:
             places = F.filter(F.transform(all, lambda h, i: F.when(h.isin(universe), i)), lambda i: i.isNotNull())
             return F.struct(all.alias("all"), places.alias("hits"))
 
-        return _let(_let(_let(words, lambda w: _shingles(w, shingle)), hits), around)
+        return _let(_let(_shingles(words, size), hits), around)
 
+    found = _let(words_of(F.coalesce("text", F.lit(""))), lambda w: F.concat(*(windows(w, g) for g in sizes)))
     # an outer explode: for an inner one the optimizer would test, and so compute, the windows beforehand
-    rows = slim.select("doc_id", F.explode_outer(windows(words_of(F.coalesce("text", F.lit(""))))).alias("x")).filter("x is not null").select("doc_id", "x.*")
+    rows = slim.select("doc_id", F.explode_outer(found).alias("x")).filter("x is not null").select("doc_id", "x.*")
     banded = rows.withColumn("__m", F.transform(F.sequence(F.lit(1), F.lit(bands)), lambda b: F.array_min(F.transform("s", lambda x: F.xxhash64(x, b)))))
     # bands meet: some place holds the same value in both
-    pairs = banded.join(F.broadcast(table.select(F.col("c").alias("tc"), "template", "t", "m")), F.col("c") == F.col("tc"))
+    pairs = banded.join(F.broadcast(table.select(F.col("c").alias("tc"), F.col("g").alias("tg"), "template", "t", "m")), (F.col("c") == F.col("tc")) & (F.col("g") == F.col("tg")))
     pairs = pairs.filter(F.exists(F.zip_with("__m", "m", lambda x, y: x == y), lambda z: z))
     share = 100 * F.size(F.array_intersect("s", "t")) / F.size("t")
     return pairs.select("doc_id", "template", "start", share.alias("percent")).filter(F.col("percent") >= percent)

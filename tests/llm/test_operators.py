@@ -196,3 +196,31 @@ def test_licenses(spark, empty):
     got = {(r.doc_id, r.template) for r in licenses.summary(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == {(1, "mit_notice"), (4, "mit")}
     assert licenses.summary(empty).count() == 0
+
+
+#: Lines of notices, written down apart from the operator's templates.
+LINES = ("All rights reserved", "Released under the MIT License", "Licensed under the Apache License, Version 2.0", "Licensed under CC BY-NC 4.0", "This work is licensed under the GNU General Public License, version 3")
+
+
+def test_notices_shorter_than_a_shingle(spark):
+    rows = [(1, "(c) 2020 A B. All  rights\nreserved. Next"), (2, "all rights"), (3, "overall rights reserved"), (4, "a b c d e f all rights reserved"), (5, None), (6, "ALL RIGHTS RESERVED")]
+    got = {(r.doc_id, r.template): (r.n_windows, r.best) for r in licenses.summary(spark.createDataFrame(rows, "doc_id long, text string"), templates=licenses.TEMPLATES | licenses.NOTICES).collect()}
+    assert set(got) == {(k, "rights_reserved_notice") for k in (1, 4, 6)} and {b for _, b in got.values()} == {100.0}
+    one = licenses.scan(spark.createDataFrame([(1, "x")], "doc_id long, text string"), templates={"x": "X"}).collect()
+    assert [(r.template, r.start) for r in one] == [("x", 0)]
+    with pytest.raises(ValueError, match="without words"):
+        licenses.scan(spark.createDataFrame(rows, "doc_id long, text string"), templates={"none": "--"})
+
+
+def test_every_notice_line_is_found(spark):
+    from pairlab.llm import queries
+
+    sf = "/root/testdata/sf0.01"
+    texts = {r.doc_id: " ".join(re.findall("[a-z0-9]+", (r.text or "").lower())) for r in spark.read.parquet(sf + "/documents.parquet").collect()}
+    line = [" " + " ".join(re.findall("[a-z0-9]+", x.lower())) + " " for x in LINES]
+    want = {i for i, t in texts.items() if any(x in f" {t} " for x in line)}
+    rights = {i for i, t in texts.items() if line[0] in f" {t} "}
+    rows = queries.op6_license_notices(spark, sf).collect()
+    assert rights and {r.doc_id for r in rows if r.template == "rights_reserved_notice"} == rights and want <= {r.doc_id for r in rows}
+    old = queries.op6_license_scan(spark, sf).collect()
+    assert {tuple(r) for r in rows if r.template != "rights_reserved_notice"} == {tuple(r) for r in old}
