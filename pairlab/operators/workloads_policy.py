@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pairlab.functions.scores import ratio, register_all
 from pairlab.operators import objectives as O
 from pairlab.operators.workloads import CLS, ROLL, classed
+from pairlab.operators.workloads_rl import PLANS, graded_rollouts, plan
 from pairlab.plans import surrogate as S
 from pairlab.registry import query
 from pairlab.sources.fixtures import TOKENS, roll_sql, rollouts, token_rows
@@ -253,9 +254,9 @@ def surrogate_rollouts(spark, d):
 
 
 def _results(spark, cands, recipes):
-    out = None
+    out, started = None, {}
     for r in recipes:
-        one = S.evaluate(cands, S.train(cands, r)).withColumn("recipe", F.lit(r.name))
+        one = S.evaluate(cands, S.train(cands, r, started)).withColumn("recipe", F.lit(r.name))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -267,22 +268,39 @@ def rq1_metrics(spark, d):
 
 @query("rq2_epochs")
 def rq2_epochs(spark, d):
-    return _results(spark, saved(S.candidates(rollouts(spark, d)), "cands"), [S.Recipe(f"{p}_{e}", sft_epochs=e, preference=p) for p in ("dpo", "orpo") for e in (1, 3, 5)])
+    return _results(spark, saved(S.candidates(rollouts(spark, d)), "cands"), [S.Recipe(f"{p}_{e}", sft_epochs=e, preference=p) for p in ("dpo", "orpo") for e in range(1, 6)])
 
 
 @query("rq3_epochs")
 def rq3_epochs(spark, d):
-    return _results(spark, saved(S.candidates(rollouts(spark, d)), "cands"), [S.Recipe(f"rl_{e}", "rejection" if e else "none", e, rl_reward="reasoning") for e in (0, 1, 3, 5)])
+    return _results(spark, saved(S.candidates(rollouts(spark, d)), "cands"), [S.Recipe(f"rl_{e}", "rejection" if e else "none", e, rl_reward="reasoning") for e in range(6)])
+
+
+@query("rq4_metrics")
+def rq4_metrics(spark, d):
+    """RL over each filter and schedule from one supervised start: every batch once, in its plan's order, in as many steps as
+    the recipe has, each of them a run of neighbouring batches."""
+    cands, recipe, out, started = saved(S.candidates(rollouts(spark, d)), "cands"), S.Recipe("rl", rl_reward="reasoning", rl_steps=4), None, {}
+    for filtered in (False, True):
+        for kind in PLANS:
+            rows = saved(plan(spark, d, kind, filtered), "plan")
+            batches = (rows.agg(F.max("batch_id")).first()[0] or 0) + 1
+            part = F.floor(F.col("batch_id") * recipe.rl_steps / batches).cast("int")
+            mine = saved(cands.join(rows.select(F.col("sample_id").alias("query_id"), part.alias("part")), "query_id", "left"), "planned")
+            one = S.evaluate(cands, S.train(mine, recipe, started, planned=True)).withColumns({"filter": F.lit("difficulty" if filtered else "full"), "schedule": F.lit(kind)})
+            out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query("rq5_curves")
 def rq5_curves(spark, d):
-    return _results(spark, saved(S.candidates(rollouts(spark, d)), "cands"), [S.Recipe(f"{k}_{n}", sft_epochs=1, rl_reward=k, rl_steps=n) for k in ("detection", "reasoning") for n in (1, 3)])
+    cands = saved(S.candidates(graded_rollouts(spark, d)), "cands")
+    return _results(spark, cands, [S.Recipe(f"{k}_{n}", sft_epochs=1, rl_reward=k, rl_steps=n) for k in S.REWARDS for n in (1, 3)])
 
 
 @query("rq6_compare")
 def rq6_compare(spark, d):
-    return _results(spark, saved(S.candidates(rollouts(spark, d)), "cands"), S.RECIPES)
+    return _results(spark, saved(S.candidates(graded_rollouts(spark, d)), "cands"), S.RECIPES)
 
 
 @query("rq1_datasets", f"WITH {GOOD} SELECT 'rejection' AS source, count(DISTINCT sample_id) AS n_samples, count(*) AS n_rows FROM ok WHERE ok UNION ALL SELECT 'rationalized', count(DISTINCT sample_id), count(DISTINCT sample_id) FROM ok")

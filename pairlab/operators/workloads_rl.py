@@ -132,6 +132,12 @@ def rubric(spark, d):
     return df.withColumn("r1", r1).withColumns({"r2": rest("l_linenumber"), "r3": rest("l_suppkey")})
 
 
+def graded_rollouts(spark, d):
+    """Rollouts with what each of the four rewards needs: class_hit (right by class), spec_reward (the rubric's total)."""
+    total = rl.specification(F.col("r1"), F.col("r2"), F.col("r3")).cast("double")
+    return rubric(spark, d).withColumns({"class_hit": OKS["prediction"][1](), "spec_reward": total})
+
+
 for _g in ("linear", "hard"):
     _e = "0.4 * r1 + 0.2 * r2 + 0.4 * r3" if _g == "linear" else "CASE WHEN r1 = 1 THEN 0.4 * r1 + 0.2 * r2 + 0.4 * r3 ELSE -0.4 END"
     query(f"reward_spec_{_g}", f"WITH {SPEC} SELECT sample_id, CAST(slot AS INTEGER) AS slot, CAST(r1 AS DOUBLE) AS r1, CAST(r2 AS DOUBLE) AS r2, CAST(r3 AS DOUBLE) AS r3, round({_e}, 6) AS reward FROM s3")(
