@@ -1,13 +1,13 @@
-"""Substring deduplication by relative Lempel-Ziv parsing against every block of the corpus.
+"""Substring deduplication by anchored blocks and window hashes over the whole corpus.
 
-A document is factored greedily: at each word the longest run of windows that some indexed reference
-block also holds becomes one factor, everything else is literal.  Factors of at least ``window`` words
-are duplicate spans.  The index is distributed and holds no text:
+Every window of ``window`` words that occurs twice or more is found, and the union of their words is removed.
+They stand for the factors of a relative Lempel-Ziv parse against all blocks; no greedy longest-factor parse
+is run.  The index is distributed and holds no text:
 
 * Each window of ``window`` words picks the smallest hash of its ``gram``-word grams as its anchor.  Equal
   windows pick the same anchor, and successive windows that share an anchor form one reference block.
-* Blocks meet others with the same anchor.  A block that recurs as a whole is a factor as it stands.
-* A block whose anchor recurs in different surroundings is a factor boundary.  Only there single windows
+* Blocks meet others with the same anchor.  A block that recurs as a whole is a duplicate as it stands.
+* A block whose anchor recurs in different surroundings may hold the end of a duplicate.  Only there single windows
   are compared, over one block of each kind, so a hot passage costs one row per block and never a pair.
 
 Hashes of the comparison are 128 bits wide (anchor and block, or two window hashes).
@@ -101,14 +101,6 @@ def _windows(window: int):
     return run
 
 
-def factors(dup: np.ndarray, window: int) -> list[tuple[int, int]]:
-    """Greedy factors (first word, length) of one document from the starts of its matched windows, sorted."""
-    if not len(dup):
-        return []
-    cut = np.flatnonzero(np.diff(dup) > 1) + 1
-    return [(int(g[0]), int(g[-1] - g[0]) + window) for g in np.split(dup, cut)]
-
-
 def _parsed(window: int, spans: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

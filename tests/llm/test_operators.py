@@ -224,3 +224,7 @@ def test_every_notice_line_is_found(spark):
     assert rights and {r.doc_id for r in rows if r.template == "rights_reserved_notice"} == rights and want <= {r.doc_id for r in rows}
     old = queries.op6_license_scan(spark, sf).collect()
     assert {tuple(r) for r in rows if r.template != "rights_reserved_notice"} == {tuple(r) for r in old}
+
+
+def test_substring_dedup_claims_no_parse():
+    assert not hasattr(rlz_dedup, "factors") and "factored greedily" not in rlz_dedup.__doc__
