@@ -105,7 +105,6 @@ class Settings:
     shrink: float = 0.15
     ridge: float = 2.0  # added to each leaf's second derivative
     sample: int = 4_000  # labelled documents of each class
-    sample_bytes: int = 1_000_000
 
 
 @dataclass
@@ -232,7 +231,7 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "quality", settings:
                 x = features(buf[off[a] : off[b]], off[a : b + 1] - off[a])
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id")[a:b], batch.column("label")[a:b], pa.array(list(x), pa.list_(pa.float64()))], names=["doc_id", "label", "x"])
 
-    texts = docs.select("doc_id", F.substring(F.coalesce("text", F.lit("")), 1, settings.sample_bytes).alias("text"))
+    texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     got = texts.join(F.broadcast(picked), "doc_id").select("doc_id", "label", "text").mapInArrow(run, "doc_id long, label int, x array<double>").toPandas()
     got = got.sort_values(["doc_id", "label"]).groupby("label").head(settings.sample)
     total = sum(counts.values())

@@ -36,7 +36,6 @@ class Mixture:
     whole: tuple = ("q1t0",)  # domains that must not shrink; empty: all
     buckets: int = 4096
     sample: int = 2_000  # labelled documents of each domain
-    sample_chars: int = 8_000  # of each sampled text; posteriors and tokens come from whole texts
     voice: float = 60.0
     steps: int = 25
     tolerance: float = 1e-4
@@ -69,7 +68,7 @@ def classifier(docs: DataFrame, labels: DataFrame, m: Mixture) -> tuple[list[str
         return ["all"], [0.0], [[0.0] * m.buckets]
     share = {d: int(1000003 * min(1.0, 1.2 * m.sample / n)) for d, n in sizes.items()}
     picked = rows.filter(" OR ".join(f"(domain = '{d}' AND pmod(xxhash64(doc_id, 5), 1000003) <= {v})" for d, v in share.items()))
-    texts = docs.select("doc_id", F.substring(F.coalesce("text", F.lit("")), 1, m.sample_chars).alias("text"))
+    texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     words = texts.join(F.broadcast(picked.limit(2 * m.sample * len(domains))), "doc_id").select("domain", F.explode(_words(F.col("text"))).alias("w"))
     counts = words.groupBy("domain", _bucket(F.col("w"), m.buckets).alias("b")).agg(F.count("*").alias("c")).collect()  # domains x buckets rows at most
     table = {d: [0] * m.buckets for d in domains}

@@ -228,3 +228,15 @@ def test_every_notice_line_is_found(spark):
 
 def test_substring_dedup_claims_no_parse():
     assert not hasattr(rlz_dedup, "factors") and "factored greedily" not in rlz_dedup.__doc__
+
+
+def test_training_reads_whole_texts(spark):
+    long = [(1, "a b " * 5_000 + "zebra " * 900), (2, "a b " * 5_000 + "yak " * 900)]
+    docs, labels = spark.createDataFrame(long, "doc_id long, text string"), spark.createDataFrame([(1, 1, 0), (2, 0, 0)], "doc_id long, quality int, toxic int")
+    domains, _, like = mixing.classifier(docs, labels, mixing.Mixture(weights={"q1t0": 0.5, "q0t0": 0.5}))
+    assert domains == ["q0t0", "q1t0"] and max(like[1]) > 1 and min(like[1]) < -1
+    tail = [(i, "word " * 220_000 + ("tail # " * 30_000 if i % 2 else "")) for i in (1, 2, 3, 4)]
+    docs, labels = spark.createDataFrame(tail, "doc_id long, text string"), spark.createDataFrame([(i, i % 2, 0) for i in (1, 2, 3, 4)], "doc_id long, quality int, toxic int")
+    model = gam_quality.train(docs, labels, settings=gam_quality.Settings(sample=20, rounds=30))
+    got = {r.doc_id: r.score for r in gam_quality.score(docs, model).collect()} if not isinstance(model, float) else {}
+    assert got and min(got[1], got[3]) > max(got[2], got[4])
