@@ -165,10 +165,11 @@ def measure(docs: DataFrame, vocabularies: dict[str, str]) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), "text").mapInArrow(run, schema)
 
 
-def fertility_rules(docs: DataFrame, vocabularies: dict[str, str] | None = None, spread: float = 6.0, least: int = 50, fit_on: int = 100) -> DataFrame:
+def fertility_rules(docs: DataFrame, vocabularies: dict[str, str] | None = None, spread: float = 6.0, least: int = 50) -> DataFrame:
     """doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept, the group and all measures.
 
-    Bands come from all documents of a group that hold ``fit_on`` tokens or more and pass the base rule."""
+    Bands come from all documents that they judge: those of a group that hold ``least`` tokens or more and pass the
+    base rule.  A group without such a document has no band, and none of its documents needs one."""
     vocabularies = vocabularies or paths()
     groups = [*LANGUAGES, *SCRIPTS, "none"]
     group = F.when(F.col("lang").isin(*LANGUAGES), F.col("lang")).otherwise(F.col("script"))
@@ -176,7 +177,7 @@ def fertility_rules(docs: DataFrame, vocabularies: dict[str, str] | None = None,
     measured = materialize(measure(docs, vocabularies).withColumns({"group": group, "base_failed": failed}), "fertility")
     names = [f"{v}_{m}" for v in vocabularies for m in MEASURES]
     first = next(iter(vocabularies))
-    quartiles = measured.filter(f"not base_failed and {first}_tokens >= {fit_on}").groupBy("group").agg(*(F.percentile_approx(c, [0.25, 0.75], 1000).alias(c) for c in names))
+    quartiles = measured.filter(f"not base_failed and {first}_tokens >= {least}").groupBy("group").agg(*(F.percentile_approx(c, [0.25, 0.75], 1000).alias(c) for c in names))
     bands = {r["group"]: r for r in quartiles.collect()}  # at most len(groups) rows
     assert len(bands) <= len(groups)
     #: The least width of a band on each side of the quartiles, so that a uniform corpus rejects nothing.

@@ -240,3 +240,13 @@ def test_training_reads_whole_texts(spark):
     model = gam_quality.train(docs, labels, settings=gam_quality.Settings(sample=20, rounds=30))
     got = {r.doc_id: r.score for r in gam_quality.score(docs, model).collect()} if not isinstance(model, float) else {}
     assert got and min(got[1], got[3]) > max(got[2], got[4])
+
+
+def test_bands_of_short_documents(spark):
+    g = random.Random(9)
+    words = "time year people way day man thing woman life child world school state family student group country problem hand part place case week company system program question work government number night point home water room mother area money story fact month lot right study book eye job word business issue side kind head house service friend father power hour game line end member law car city".split()
+    rows = [(k, " ".join(g.sample(words, 56)), "en") for k in range(40)] + [(99, " ".join(chr(0x4E00 + g.randrange(9000)) for _ in range(60)), "en")]
+    got = {r.doc_id: r for r in fertility.fertility_rules(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
+    first = next(iter(fertility.paths()))
+    assert all(50 <= got[k][f"{first}_tokens"] < 100 and got[k].kept for k in range(40))
+    assert not got[99].base_failed and not got[99].kept
