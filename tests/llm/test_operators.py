@@ -226,10 +226,6 @@ def test_every_notice_line_is_found(spark):
     assert {tuple(r) for r in rows if r.template != "rights_reserved_notice"} == {tuple(r) for r in old}
 
 
-def test_substring_dedup_claims_no_parse():
-    assert not hasattr(rlz_dedup, "factors") and "factored greedily" not in rlz_dedup.__doc__
-
-
 def test_training_reads_whole_texts(spark):
     long = [(1, "a b " * 5_000 + "zebra " * 900), (2, "a b " * 5_000 + "yak " * 900)]
     docs, labels = spark.createDataFrame(long, "doc_id long, text string"), spark.createDataFrame([(1, 1, 0), (2, 0, 0)], "doc_id long, quality int, toxic int")
