@@ -64,13 +64,38 @@ def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.digests(documents(spark, sf_dir))
 
 
-QUERIES = {f.__name__: f for f in (op1_toxicity, op2_fertility, op3_substring_dedup, op4_mixing, op5_quality_gam, op6_license_scan, op6_license_notices, op7_jaccard_join, op8_topk, op9_sentencepiece, op10_secrets)}
+def op10_secret_base(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of op10_secrets that SQL can tell: those of the fixed patterns."""
+    return secrets.digests(documents(spark, sf_dir)).select("doc_id", "n_assign", "n_access", "n_hex", "base_sha256")
+
+
+QUERIES = {f.__name__: f for f in (op1_toxicity, op2_fertility, op3_substring_dedup, op4_mixing, op5_quality_gam, op6_license_scan, op6_license_notices, op7_jaccard_join, op8_topk, op9_sentencepiece, op10_secrets, op10_secret_base)}
 
 _WORDS = "regexp_extract_all({}, '[^\\x20\\x09-\\x0D]+')"
 
 _LICENSE_TEMPLATES = " UNION ALL ".join(f"SELECT '{k}' AS template, '{v.replace(chr(39), chr(39) * 2)}' AS body" for k, v in licenses.TEMPLATES.items())
 
+
+def _secret_kind(kind: str, place: int, pattern: str, keep: str) -> str:
+    """Spans of one pattern: start from the lengths of the texts between matches and of the matches before."""
+    group = 2 if place == 0 else 0
+    pattern = pattern.replace("'", "''")
+    return f"""SELECT k, '{kind}' AS kind, {place} AS place, stop - n AS start, stop FROM (
+  SELECT k, length(m) AS n, g, sum(length(p) + length(m)) OVER (PARTITION BY k ORDER BY i) AS stop FROM (
+    SELECT k, unnest(range(1, len(ms) + 1)) AS i, unnest(ms) AS m, unnest(gs) AS g, unnest(ps[1:len(ms)]) AS p FROM (
+      SELECT k, regexp_extract_all(t, '{pattern}') AS ms, regexp_extract_all(t, '{pattern}', {group}) AS gs, regexp_split_to_array(t, '{pattern}') AS ps FROM d))) WHERE {keep}"""
+
+
+_SECRET_WORDS = "(?:[pP][aA][sS][sS][wW][oO][rR][dD]|[pP][aA][sS][sS][wW][dD]|[sS][eE][cC][rR][eE][tT]|[tT][oO][kK][eE][nN]|[aA][pP][iI]_?[kK][eE][yY])"
+
 ORACLE_SQL = {
+    "op10_secret_base": f"""
+WITH d AS (SELECT row_number() OVER () AS k, doc_id, coalesce(text, '') AS t FROM documents),
+s AS ({_secret_kind("assign", 0, "(" + _SECRET_WORDS + """)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", "length(g) >= 8")}
+ UNION ALL {_secret_kind("access", 1, "AKIA[A-Z0-9]+", "n >= 16")} UNION ALL {_secret_kind("hex", 2, "[0-9a-f]+", "n >= 32")}),
+j AS (SELECT k, count(*) FILTER (place = 0) AS a, count(*) FILTER (place = 1) AS c, count(*) FILTER (place = 2) AS h,
+             string_agg(kind || ':' || CAST(start AS BIGINT) || ':' || CAST(stop AS BIGINT), ',' ORDER BY start, place) AS x FROM s GROUP BY k)
+SELECT doc_id, coalesce(a, 0) AS n_assign, coalesce(c, 0) AS n_access, coalesce(h, 0) AS n_hex, sha256(coalesce(x, '')) AS base_sha256 FROM d LEFT JOIN j USING (k)""",
     "op3_substring_dedup": f"""
 WITH d AS (SELECT row_number() OVER () AS k, doc_id, {_WORDS.format("coalesce(text, '')")} AS w FROM documents),
 win AS (SELECT k, s, hash(array_to_string(w[s:s + 34], ' ')) AS a, md5(array_to_string(w[s:s + 34], ' ')) AS h
