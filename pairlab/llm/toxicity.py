@@ -1,15 +1,18 @@
 """Toxicity scores: a bidirectional gated recurrent network with attention pooling, trained in numpy.
 
 Input of each step is a word as a whole (an embedding of the words known from training, one more for all
-others) and as characters (mean of its bytes' embeddings).  A text is scored in windows of ``size`` words,
-each starting ``size / 2`` words after the last; all windows of all texts are scored, and the document gets
-the highest score.  Training sees a bounded sample (``Settings.sample`` documents a class) of labelled rows;
-from a toxic document it takes the window that the current model finds most toxic (the label says only that
-one exists), from others a random one and the worst one.
-
-Defined results: null or empty text scores as a text without any word, by the output bias alone; rows that
-repeat get equal scores; extra columns are ignored; an empty table gives an empty result.  Without labels of
-both classes every score is the share of label 1 (0 without labels).
+others) and as characters in their order (embeddings of its byte trigrams, with marks at both ends, averaged, and of its
+first four and six bytes).  A text is scored in windows of ``size`` words, each starting ``size / 2`` words after the
+last; all windows of all texts are scored, and the document gets the highest score.
+
+Training sees a bounded sample (``Settings.sample`` documents a class, by a hash of the id) of labelled rows with their whole texts, which
+stay in a shared table: in each epoch executors pick from a toxic document the window that the current model finds
+most toxic (the label says only that one exists), from others a random one and the worst one, and only these windows
+go to the driver.  Before there is a model, summed log odds of the known words stand for it.
+
+Defined results: null or empty text, or one without any word, scores the share of label 1; rows that
+repeat get equal scores; extra columns are ignored; an empty table gives an empty result; a null id is in no
+labelled row, and its held_out is null.  Without labels of both classes every score is the share of label 1 (0 without labels).
 """
 
 from __future__ import annotations
@@ -18,12 +21,12 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pairlab.llm import textbatch as tb
+from pairlab.llm.scratch import materialize
 
 _U = np.uint64
 SEPARATOR = np.ones(256, dtype=bool)
@@ -35,12 +38,13 @@ class Settings:
     size: int = 32  # words in a window
     hidden: int = 8  # units of each direction
     words: int = 8  # width of a word's embedding
-    chars: int = 6  # width of a byte's embedding
+    chars: int = 6  # width of a character group's embedding
+    groups: int = 8192  # hashed trigrams, and as many hashed beginnings
     vocabulary: int = 20_000
     least: int = 5  # documents of the sample that a known word occurs in
     sample: int = 1_500  # documents of each class
-    sample_bytes: int = 8_000  # of each sampled text; scoring reads whole texts
-    epochs: int = 6
+    epochs: int = 8
+    steps: int = 400  # at least; a small sample's windows are read several times an epoch
     rate: float = 0.01
     seed: int = 7
 
@@ -65,14 +69,14 @@ def windows(first: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.nd
 
 
 class Network:
-    """Weights p: W (words x 8), C (256 x 6), X (14 x 6H), b (6H), U (2, H, 3H), A (2H x 2H), v (2H), o (2H), k (1)."""
+    """Weights p: W (words x 8), C (2 groups x 6), X (14 x 6H), b (6H), U (2, H, 3H), A (2H x 2H), v (2H), o (2H), k (1)."""
 
     def __init__(self, s: Settings, known: np.ndarray):
-        self.s, self.known = s, known  # sorted hashes; word 0 is any other
+        self.s, self.known, self.blank = s, known, 0.0  # sorted hashes, word 0 is any other; logit of a text without words
         g, h = np.random.default_rng(s.seed), s.hidden
         scaled = lambda *shape, by=None: (g.normal(size=shape) / np.sqrt(by or shape[-2])).astype(np.float32)
         self.p = {
-            "W": 0.3 * scaled(len(known) + 1, s.words, by=1), "C": 0.3 * scaled(256, s.chars, by=1), "X": scaled(s.words + s.chars, 6 * h), "b": np.zeros(6 * h, np.float32),
+            "W": 0.3 * scaled(len(known) + 1, s.words, by=1), "C": 0.3 * scaled(2 * s.groups, s.chars, by=1), "X": scaled(s.words + s.chars, 6 * h), "b": np.zeros(6 * h, np.float32),
             "U": scaled(2, h, 3 * h), "A": scaled(2 * h, 2 * h), "v": scaled(2 * h, by=2 * h), "o": scaled(2 * h, by=2 * h), "k": np.zeros(1, np.float32),
         }
 
@@ -83,12 +87,11 @@ class Network:
         return np.where(self.known[at] == hashes, at + 1, 0)
 
     def characters(self, buf: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-        """Mean byte embedding of each word."""
+        """Character input of each word."""
         if not len(starts):
             return np.zeros((0, self.s.chars), np.float32)
-        cut = np.stack([starts, ends], 1).ravel()
-        padded = np.concatenate([self.p["C"][buf], np.zeros((1, self.s.chars), np.float32)])
-        return np.add.reduceat(padded, cut, axis=0)[::2] / (ends - starts)[:, None].astype(np.float32)
+        ids, weight, begin = grams(buf, starts, ends, self.s.groups)
+        return np.add.reduceat(self.p["C"][ids] * weight[:, None], begin, axis=0)
 
     def forward(self, x: np.ndarray, length: np.ndarray, keep: bool = False):
         """x: steps x windows x 6H, the inputs' part of the gates. Logits; with keep also what backward needs."""
@@ -153,62 +156,66 @@ class Network:
         at, length, row = windows(first, self.s.size)
         logit = np.zeros(len(at), np.float32)
         word = self.ids(hashes)
-        chars = self.characters(low, starts, ends)
+        _, some, of = np.unique(hashes, return_index=True, return_inverse=True)
+        chars = self.characters(low, starts[some], ends[some])
         w, s = self.s.words, self.s.size
         by_word = self.p["W"] @ self.p["X"][:w] + self.p["b"]
         by_chars = chars @ self.p["X"][w:]
         step = np.arange(s)[:, None]
         for a in range(0, len(at), part):
-            i = np.minimum(at[None, a : a + part] + step, max(0, len(word) - 1))
-            logit[a : a + part] = self.forward(by_word[word[i]] + by_chars[i], length[a : a + part])
+            i = np.minimum(at[None, a : a + part] + step, len(word) - 1)
+            logit[a : a + part] = self.forward(by_word[word[i]] + by_chars[of[i]], length[a : a + part])
         return logit, (at, length, row)
 
     def scores(self, buf: np.ndarray, off: np.ndarray) -> np.ndarray:
         logit, (_, _, row) = self.rows(buf, off)
-        best = np.full(len(off) - 1, self.p["k"][0], np.float32)
+        best = np.full(len(off) - 1, self.blank, np.float32)
         if len(row):
             new = np.flatnonzero(np.concatenate([[True], row[1:] != row[:-1]]))
             best[row[new]] = np.maximum.reduceat(logit, new)
         return _sigmoid(best.astype(np.float64))
 
 
-def _known(hashes: np.ndarray, first: np.ndarray, s: Settings) -> np.ndarray:
-    """Hashes of the words of most documents, sorted."""
-    pairs = np.unique(np.stack([hashes, np.repeat(np.arange(len(first) - 1), np.diff(first)).astype(_U)], 1), axis=0)[:, 0]
-    value, count = np.unique(pairs, return_counts=True)
-    value, count = value[count >= s.least], count[count >= s.least]
-    return np.sort(value[np.argsort(-count, kind="stable")[: s.vocabulary]])
-
-
-def fit(texts: list[str], label: np.ndarray, s: Settings = Settings(), prior: float | None = None) -> Network | float:
-    """Network trained on texts; prior: the share of label 1 in all rows, if the sample has another."""
-    label = np.asarray(label, np.float32)
-    if len(set(label.tolist())) < 2:
-        return float(prior if prior is not None else (label.mean() if len(label) else 0.0))
-    buf, off = tb.utf8(pa.array(texts, pa.string()))
-    low, starts, ends, first, hashes = tokens(buf, off)
-    net = Network(s, _known(hashes, first, s))
+def grams(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, groups: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Character groups of words: their rows in C, weights, and where each word's begin. A word has its trigrams in equal parts,
+    and its first four and six bytes with weight one."""
+    n = ends - starts
+    size = n + 2  # n trigrams of the word between two marks, two beginnings
+    begin = np.cumsum(size) - size
+    inner = tb.spread(n)
+    at = np.repeat(starts, n) + inner
+    left = np.where(inner == 0, 2, buf[np.maximum(at - 1, 0)])
+    right = np.where(inner == np.repeat(n, n) - 1, 3, buf[np.minimum(at + 1, len(buf) - 1)])
+    code = (left.astype(_U) << _U(16)) | (buf[at].astype(_U) << _U(8)) | right.astype(_U)
+    ids = np.zeros(int(size.sum()), np.int64)
+    weight = np.ones(len(ids), np.float32)
+    place = np.repeat(begin, n) + inner
+    ids[place] = (tb.mix(code + _U(1)) % _U(groups)).astype(np.int64)
+    weight[place] = np.repeat(1 / n, n)
+    for k, first in ((0, 4), (1, 6)):
+        ids[begin + n + k] = groups + (tb.hash_spans(buf, starts, np.minimum(ends, starts + first)) % _U(groups)).astype(np.int64)
+    return ids, weight, begin
+
+
+def fit(pick, known: np.ndarray, s: Settings = Settings(), prior: float | None = None) -> Network:
+    """Network trained on windows; pick(epoch, network) gives texts of windows and their labels, known is sorted word hashes.
+    prior: the share of label 1 in all rows, if the windows have another."""
+    net = Network(s, known)
     g = np.random.default_rng(s.seed)
-    word = net.ids(hashes)
-    at, length, row = windows(first, s.size)
-    # the first choice of windows: summed log odds of the known words' document counts
-    doc = np.repeat(np.arange(len(first) - 1), np.diff(first))
-    pairs = np.unique(np.stack([word, doc], 1), axis=0)
-    n1, n0 = (np.bincount(pairs[label[pairs[:, 1]] == y, 0], minlength=len(net.known) + 1) for y in (1, 0))
-    odds = np.log((n1 + 0.5) / (label.sum() + 1)) - np.log((n0 + 0.5) / (len(label) - label.sum() + 1))
-    odds[0] = 0
-    best = np.maximum.reduceat(np.append(odds[word], -9), np.minimum(np.stack([at, at + length], 1).ravel(), len(word)))[::2] if len(at) else np.zeros(0)
     moment = {k: [np.zeros_like(v), np.zeros_like(v)] for k, v in net.p.items()}
-    count = 0
+    count, seen = 0, 0.5
     for epoch in range(s.epochs):
-        if epoch >= 2:
-            best = np.concatenate([net.rows(buf[off[a] : off[b]], off[a : b + 1] - off[a])[0] for a, b in tb.chunks(off, 500_000)])
-        order = np.lexsort((-best + 1e-6 * g.random(len(best)), row))
-        top = order[np.flatnonzero(np.concatenate([[True], row[order][1:] != row[order][:-1]]))]
-        shuffled = np.lexsort((g.random(len(row)), row))
-        other = shuffled[np.flatnonzero(np.concatenate([[True], row[shuffled][1:] != row[shuffled][:-1]]))]
-        use = np.concatenate([top, other[label[row[other]] == 0]])
-        g.shuffle(use)
+        texts, label = pick(epoch, net)
+        label = np.asarray(label, np.float32)
+        buf, off = tb.utf8(pa.array(texts, pa.string()))
+        low, starts, ends, first, hashes = tokens(buf, off)
+        word, at, length = net.ids(hashes), first[:-1], np.minimum(np.diff(first), s.size)
+        use = np.flatnonzero(length > 0)
+        if not len(use):
+            return net
+        seen = float(label[use].mean())
+        times = max(1, -(-s.steps // (s.epochs * -(-len(use) // 64))))
+        use = np.concatenate([g.permutation(use) for _ in range(times)])
         rate = s.rate * (1 - epoch / s.epochs) + 1e-4
         for a in range(0, len(use), 64):
             w = use[a : a + 64]
@@ -216,11 +223,12 @@ def fit(texts: list[str], label: np.ndarray, s: Settings = Settings(), prior: fl
             ids = word[i]
             ids = np.where(g.random(ids.shape) < 0.05, 0, ids)  # so that the word for all others is trained, too
             flat = i.ravel()
-            chars = _mean_bytes(net, low, starts, ends, flat)
-            inputs = np.concatenate([net.p["W"][ids.ravel()], chars[0]], 1)
+            group, weight, begin = grams(low, starts[flat], ends[flat], s.groups)
+            chars = np.add.reduceat(net.p["C"][group] * weight[:, None], begin, axis=0)
+            inputs = np.concatenate([net.p["W"][ids.ravel()], chars], 1)
             x = (inputs @ net.p["X"] + net.p["b"]).reshape(s.size, len(w), -1)
             logit, kept = net.forward(x, length[w], keep=True)
-            err = ((_sigmoid(logit) - label[row[w]]) / len(w)).astype(np.float32)
+            err = ((_sigmoid(logit) - label[w]) / len(w)).astype(np.float32)
             grad, by_x = net.backward(x, kept, err)
             by_x = by_x.reshape(len(flat), -1)
             grad["X"], grad["b"] = inputs.T @ by_x, by_x.sum(0)
@@ -228,41 +236,97 @@ def fit(texts: list[str], label: np.ndarray, s: Settings = Settings(), prior: fl
             grad["W"] = np.zeros_like(net.p["W"])
             np.add.at(grad["W"], ids.ravel(), by_in[:, : s.words])
             grad["C"] = np.zeros_like(net.p["C"])
-            np.add.at(grad["C"], chars[1], np.repeat(by_in[:, s.words :] / chars[2][:, None], chars[2], axis=0))
+            np.add.at(grad["C"], group, np.repeat(by_in[:, s.words :], np.diff(np.append(begin, len(group))), axis=0) * weight[:, None])
             count += 1
             for k, v in net.p.items():
                 m = moment[k]
                 m[0] = 0.9 * m[0] + 0.1 * grad[k]
                 m[1] = 0.999 * m[1] + 0.001 * grad[k] ** 2
                 v -= (rate * (m[0] / (1 - 0.9**count) / (np.sqrt(m[1] / (1 - 0.999**count)) + 1e-8) + 1e-3 * v)).astype(np.float32)
-    if prior is not None and 0 < prior < 1:
-        seen = float(label.mean())
+    if prior is not None and 0 < prior < 1 and 0 < seen < 1:
+        net.blank = float(np.log(prior / (1 - prior)))
         net.p["k"] = net.p["k"] + np.float32(np.log(prior / (1 - prior)) - np.log(seen / (1 - seen)))
     return net
 
 
-def _mean_bytes(net: Network, buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, flat: np.ndarray):
-    """For the words flat: mean byte embeddings, their bytes one after the other, their lengths."""
-    n = ends[flat] - starts[flat]
-    each = buf[np.repeat(starts[flat], n) + tb.spread(n)]
-    cut = np.cumsum(n) - n
-    return np.add.reduceat(net.p["C"][each], cut, axis=0) / n[:, None].astype(np.float32), each, n
-
-
 def held_out(doc_id: str = "doc_id"):
     return F.pmod(F.crc32(F.col(doc_id).cast("string")), F.lit(5)) == 0
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, per_class: int, text_bytes: int) -> tuple[pd.DataFrame, dict[int, int]]:
-    """At most per_class labelled rows of each class outside the held-out fifth, chosen by a hash of the id,
-    with the start of their texts; and the number of all such rows of each class."""
-    rows = labels.select(F.col("doc_id"), F.col(label).cast("int").alias("label")).filter(F.col("label").isin(0, 1) & ~held_out())
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, per_class: int) -> tuple[DataFrame, dict[int, int]]:
+    """doc_id, label and whole text of at most per_class labelled rows of each class outside the held-out fifth, the first by a
+    hash of the id, as a written table; and the number of all such rows of each class. Of an id's rows one counts."""
+    rows = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("label")).filter(F.col("label").isin(0, 1) & ~held_out())
     counts = {r["label"]: r["n"] for r in rows.groupBy("label").agg(F.count("*").alias("n")).collect()}
-    picked = rows.filter(" OR ".join(f"(label = {k} AND pmod(xxhash64(doc_id, 11), 1000003) <= {int(1000003 * min(1.0, 1.3 * per_class / max(1, n)))})" for k, n in counts.items()) or "false")
-    picked = picked.orderBy(F.xxhash64("doc_id", F.lit(11))).limit(int(2.6 * per_class) + 50)
-    texts = docs.select("doc_id", F.substring(F.coalesce("text", F.lit("")), 1, text_bytes).alias("text"))
-    got = texts.join(F.broadcast(picked), "doc_id").toPandas()  # bounded by the two limits
-    return got.sort_values(["doc_id", "text", "label"]).groupby("label").head(per_class).reset_index(drop=True), counts
+    picked = [rows.filter(F.col("label") == k).orderBy(F.xxhash64("doc_id", F.lit(11)), "doc_id").limit(per_class) for k in (0, 1)]
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    got = texts.join(F.broadcast(picked[0].union(picked[1])), "doc_id").groupBy("doc_id", "label").agg(F.min("text").alias("text"))
+    return materialize(got, "labelled"), counts
+
+
+def _distinct_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """label and hash of each word of a text, once."""
+    for batch in batches:
+        buf, off = tb.utf8(batch.column("text"))
+        label = batch.column("label").to_numpy()
+        for a, b in tb.chunks(off):
+            _, _, _, first, hashes = tokens(buf[off[a] : off[b]], off[a : b + 1] - off[a])
+            row = np.repeat(np.arange(b - a), np.diff(first))
+            order = np.lexsort((hashes, row))
+            hashes, row = hashes[order], row[order]
+            new = np.ones(len(row), bool)
+            new[1:] = (hashes[1:] != hashes[:-1]) | (row[1:] != row[:-1])
+            yield pa.RecordBatch.from_arrays([pa.array(label[a:b][row[new]]), pa.array(hashes[new].view(np.int64))], names=["label", "word"])
+
+
+def _window_picker(model, size: int, epoch: int):
+    """Of each text the window that model(buf, off) scores highest, and, if its label is 0, one drawn at random."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            buf, off = tb.utf8(batch.column("text"))
+            label, doc = batch.column("label").to_numpy(), batch.column("doc_id").to_numpy()
+            for a, b in tb.chunks(off, 1_500_000):
+                part, cut = buf[off[a] : off[b]], off[a : b + 1] - off[a]
+                logit, at, length, row = model(part, cut)
+                low, starts, ends, _, _ = tokens(part, cut)
+                new = np.flatnonzero(np.concatenate([[True], row[1:] != row[:-1]])) if len(row) else np.zeros(0, np.int64)
+                n = np.diff(np.append(new, len(row)))
+                texts, labels = [], []
+                for k, c in zip(new, n):
+                    i = row[k]
+                    chosen = [k + int(np.argmax(logit[k : k + c]))]
+                    if label[a + i] == 0:
+                        chosen.append(k + int(tb.mix(np.array([doc[a + i] * 64 + epoch], np.int64).view(_U))[0] % _U(c)))
+                    for w in chosen:
+                        texts.append(low[starts[at[w]] : ends[at[w] + length[w] - 1]].tobytes().decode(errors="replace"))
+                        labels.append(int(label[a + i]))
+                yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()), pa.array(labels, pa.int32())], names=["text", "label"])
+
+    return run
+
+
+def _by_odds(known: np.ndarray, odds: np.ndarray, size: int):
+    """Scores of windows by the highest log odds of a known word in them."""
+
+    def run(buf: np.ndarray, off: np.ndarray):
+        _, _, _, first, hashes = tokens(buf, off)
+        at, length, row = windows(first, size)
+        if not len(at):
+            return np.zeros(0), at, length, row
+        place = np.minimum(np.searchsorted(known, hashes), max(0, len(known) - 1))
+        value = np.append(np.where(known[place] == hashes, odds[place], -9.0) if len(known) else np.full(len(hashes), -9.0), -9.0)
+        return np.maximum.reduceat(value, np.stack([at, at + length], 1).ravel())[::2], at, length, row
+
+    return run
+
+
+def _by_network(net: Network):
+    def run(buf: np.ndarray, off: np.ndarray):
+        logit, (at, length, row) = net.rows(buf, off)
+        return logit, at, length, row
+
+    return run
 
 
 def score(docs: DataFrame, model: Network | float) -> DataFrame:
@@ -281,9 +345,26 @@ def score(docs: DataFrame, model: Network | float) -> DataFrame:
 
 
 def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", settings: Settings = Settings()) -> Network | float:
-    sample, counts = labelled_sample(docs, labels, label, settings.sample, settings.sample_bytes)
+    sample, counts = labelled_sample(docs, labels, label, settings.sample)
     total = sum(counts.values())
-    return fit(sample["text"].tolist(), sample["label"].to_numpy(), settings, counts.get(1, 0) / total if total else 0.0)
+    sizes = {r["label"]: r["n"] for r in sample.groupBy("label").agg(F.count("*").alias("n")).collect()}
+    if len(sizes) < 2:
+        return counts.get(1, 0) / total if total else 0.0
+    words = sample.select("label", "text").mapInArrow(_distinct_words, "label int, word long").groupBy("word").agg(F.count("*").alias("n"), F.sum("label").alias("n1"))
+    top = words.filter(F.col("n") >= settings.least).orderBy(F.desc("n"), "word").limit(settings.vocabulary).collect()
+    known = np.array([r["word"] for r in top], np.int64).view(_U)
+    n1, n = np.array([r["n1"] for r in top], float), np.array([r["n"] for r in top], float)
+    odds = np.log((n1 + 0.5) / (sizes[1] + 1)) - np.log((n - n1 + 0.5) / (sizes[0] + 1))
+    order = np.argsort(known)
+    known, odds = known[order], odds[order]
+
+    def pick(epoch: int, net: Network) -> tuple[list[str], list[int]]:
+        model = _by_odds(known, odds, settings.size) if epoch < 2 else _by_network(net)
+        got = sample.mapInArrow(_window_picker(model, settings.size, epoch), "text string, label int").toPandas()  # three windows a sampled pair of documents at most
+        got = got.sort_values(["text", "label"])  # the same order on every run
+        return got["text"].tolist(), got["label"].tolist()
+
+    return fit(pick, known, settings, counts.get(1, 0) / total)
 
 
 def keep(docs: DataFrame, model: Network | float, below: float = 0.5) -> DataFrame:
