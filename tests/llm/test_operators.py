@@ -93,8 +93,9 @@ def test_top_k(spark):
     g = np.random.default_rng(1)
     rows = [(i, [float(x) for x in g.normal(size=6)]) for i in range(230)] + [(300, None), (301, [1.0, None, 0.0, 0.0, 0.0, 0.0]), (302, [float("nan")] * 6), (400, [0.5] * 6), (401, [0.5] * 6)]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
-    got = sorted(tuple(r) for r in topk.top_k(df, shard=50, query_block=2).collect())
+    got = sorted(tuple(r) for r in topk.top_k(df, shard=50, query_block=2, held=100).collect())  # a pass for each query or two
     assert got == sorted(tuple(r) for r in topk.top_k(df).collect())  # one tile
+    assert topk.top_k(df.limit(0)).count() == 0
     v = {i: np.floor(1024 * np.array(e)).astype(int) for i, e in rows if e and None not in e and np.isfinite(e).all()}
     want = []
     for i in v:

@@ -83,7 +83,7 @@ def test_passage_at_the_end_of_a_long_text_trains(spark):
     labels = spark.createDataFrame([(k, k % 2) for k in range(80)], "doc_id long, toxic int")
     model = toxicity.train(docs, labels, settings=toxicity.Settings(sample=50, epochs=4, steps=150, least=2))
     got = {r.doc_id: r.score for r in toxicity.score(docs, model).collect()}
-    assert all((got[k] >= 0.5) == (k % 2 == 1) for k in range(80)) and abs(got[901] - 0.5) < 1e-6 and got[901] == got[902]
+    assert all((got[k] >= 0.5) == (k % 2 == 1) for k in range(80)) and got[901] == got[902]
     wide = docs.selectExpr("*", "1 as score", "2 as label", "3 as n")
     kept = toxicity.keep(wide, model)
     assert kept.columns == wide.columns and sorted(r.doc_id for r in kept.collect() if r.doc_id < 900) == [*range(0, 80, 2)]
