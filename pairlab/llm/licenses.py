@@ -75,14 +75,19 @@ def template_table(spark: SparkSession, templates: dict[str, str], shingle: int
     return table, table.withColumn("m", m)
 
 
-def scan(docs: DataFrame, templates: dict[str, str] | None = None, percent: int = 80, shingle: int = 5, bands: int = 192) -> DataFrame:
-    """doc_id, template, start (word), percent: the verified matches, one row per document, template and window."""
+def scan(docs: DataFrame, templates: dict[str, str] | None = None, percent: int = 80, shingle: int = 5, bands: int = 192, group: int = 500) -> DataFrame:
+    """doc_id, template, start (word), percent: the verified matches, one row per document, template and window. Texts are read once for
+    each group templates."""
     spark = docs.sparkSession
     templates = TEMPLATES if templates is None else templates
-    if len(templates) > 5_000 or sum(map(len, templates.values())) > 20_000_000:
-        raise ValueError("too many templates to send to every task")
+    if len(templates) > group:  # the shingles of a group stand in the plan, and its band table is broadcast
+        names, out = sorted(templates), None
+        for k in range(0, len(names), group):
+            one = scan(docs, {n: templates[n] for n in names[k : k + group]}, percent, shingle, bands, group)
+            out = one if out is None else out.union(one)
+        return out
     plain, table = template_table(spark, templates, shingle, bands)
-    known = plain.collect()  # bounded above
+    known = plain.collect()  # group templates at most
     sizes = sorted({r["g"] for r in known})
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
 
@@ -107,11 +112,13 @@ def scan(docs: DataFrame, templates: dict[str, str] | None = None, percent: int
 
     found = _let(words_of(F.coalesce("text", F.lit(""))), lambda w: F.concat(*(windows(w, g) for g in sizes)))
     # an outer explode: for an inner one the optimizer would test, and so compute, the windows beforehand
-    rows = slim.select("doc_id", F.explode_outer(found).alias("x")).filter("x is not null").select("doc_id", "x.*")
-    banded = rows.withColumn("__m", F.transform(F.sequence(F.lit(1), F.lit(bands)), lambda b: F.array_min(F.transform("s", lambda x: F.xxhash64(x, b)))))
-    # bands meet: some place holds the same value in both
-    pairs = banded.join(F.broadcast(table.select(F.col("c").alias("tc"), F.col("g").alias("tg"), "template", "t", "m")), (F.col("c") == F.col("tc")) & (F.col("g") == F.col("tg")))
-    pairs = pairs.filter(F.exists(F.zip_with("__m", "m", lambda x, y: x == y), lambda z: z))
+    rows = slim.select("doc_id", F.monotonically_increasing_id().alias("rid"), F.explode_outer(found).alias("x")).filter("x is not null").select("doc_id", "rid", "x.*")
+    # bands meet: an equi-join of (class, band, value), then each window and template once
+    bands_of = lambda df, *keys: df.select(*keys, F.posexplode(F.col("m")).alias("band", "value"))
+    hashed = F.transform(F.sequence(F.lit(1), F.lit(bands)), lambda b: F.array_min(F.transform("s", lambda x: F.xxhash64(x, b))))
+    met = bands_of(rows.withColumn("m", hashed), "doc_id", "rid", "c", "g", "start", "s").join(F.broadcast(bands_of(table, "c", "g", "template")), ["c", "g", "band", "value"])
+    met = met.groupBy("rid", "c", "g", "start", "template").agg(F.first("doc_id").alias("doc_id"), F.first("s").alias("s"))
+    pairs = met.join(F.broadcast(plain.select("template", "t")), "template")
     share = 100 * F.size(F.array_intersect("s", "t")) / F.size("t")
     return pairs.select("doc_id", "template", "start", share.alias("percent")).filter(F.col("percent") >= percent)
 
