@@ -77,8 +77,15 @@ def band_ends(largest: int, percent: int, ratio: float = 1.6) -> np.ndarray:
     return np.array(ends)
 
 
-def signatures(grams: np.ndarray, first: np.ndarray, percent: int = 80) -> tuple[np.ndarray, np.ndarray]:
-    """Signatures of all sets (sorted hashes, as of shingle_sets), and the set of each."""
+def signatures(grams: np.ndarray, first: np.ndarray, percent: int = 80, most: int = 150_000) -> tuple[np.ndarray, np.ndarray]:
+    """Signatures of all sets (sorted hashes, as of shingle_sets), and the set of each; worked out for about most elements at a time."""
+    if not len(grams):
+        return np.zeros(0, _U), np.zeros(0, np.int64)
+    got = [(sig, of + a) for a, b in tb.chunks(first, most) for sig, of in [_signatures(grams[first[a] : first[b]], first[a : b + 1] - first[a], percent)]]
+    return np.concatenate([s for s, _ in got]), np.concatenate([o for _, o in got])
+
+
+def _signatures(grams: np.ndarray, first: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
     n = np.diff(first)
     if not len(grams):
         return np.zeros(0, _U), np.zeros(0, np.int64)
@@ -327,8 +334,8 @@ def _class_signatures(percent: int):
     return run
 
 
-def links(sets: list[np.ndarray], side: np.ndarray, percent: int = 80, bits: int = 1024) -> list[tuple[int, int]]:
-    """Spanning forest of the links between sets (sorted hashes). Where side holds two values, only links between both count."""
+def links(sets: list[np.ndarray], side: np.ndarray, percent: int = 80, bits: int = 1024, every: bool = False) -> list[tuple[int, int]]:
+    """Spanning forest of the links between sets (sorted hashes), or all links. Where side holds two values, only links between both count."""
     m = len(sets)
     size = np.array([len(s) for s in sets])
     sketch = np.zeros((m, bits), np.uint8)
@@ -358,6 +365,12 @@ def links(sets: list[np.ndarray], side: np.ndarray, percent: int = 80, bits: int
         j, differ = j[fine], differ[fine].astype(np.int64)
         j = j[np.argsort(differ, kind="stable")]
         while len(j):
+            if every:
+                for x in j.tolist():
+                    c = int(np.isin(sets[x], sets[i], assume_unique=True).sum())
+                    if 100 * c >= percent * (int(size[i]) + int(size[x]) - c):
+                        out.append((i, x))
+                break
             mine = root(i)
             roots = np.array([root(int(x)) for x in j])
             j, roots = j[roots != mine], roots[roots != mine]
@@ -378,7 +391,7 @@ def links(sets: list[np.ndarray], side: np.ndarray, percent: int = 80, bits: int
     return out
 
 
-def _verified(percent: int):
+def _verified(percent: int, every: bool = False):
     def run(key, table):
         table = table.sort_by([("cluster", "ascending"), ("key", "ascending")])
         cluster, keys, side = (table.column(c).to_numpy() for c in ("cluster", "key", "side"))
@@ -387,7 +400,7 @@ def _verified(percent: int):
         a, b = [], []
         for x, y in zip(edges, edges[1:]):
             sets = [np.frombuffer(elements[k].as_py(), _U) for k in range(x, y)]
-            for i, j in links(sets, side[x:y], percent):
+            for i, j in links(sets, side[x:y], percent, every=every):
                 a.append(int(keys[x + i]))
                 b.append(int(keys[x + j]))
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
@@ -395,8 +408,9 @@ def _verified(percent: int):
     return run
 
 
-def _grouped(docs: DataFrame, percent: int, shingle: int, block: int) -> DataFrame:
-    """rid (hash of id and text), doc_id, n, group (of linked sets), c (its smallest id) of every row."""
+def _possible(docs: DataFrame, percent: int, shingle: int, block: int, heavy: int = 4_000_000) -> tuple[DataFrame, ...]:
+    """Every row (rid, doc_id, n, key); classes of equal sets (key, rid, n, least id); elements of the sets that may link; and
+    their places: the tasks in which a set meets others, and the side it is on. A block holds block sets or heavy elements."""
     spark = docs.sparkSession
     partitions = int(spark.conf.get("spark.sql.shuffle.partitions"))
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("rid", F.xxhash64("doc_id", "text"))
@@ -421,14 +435,22 @@ def _grouped(docs: DataFrame, percent: int, shingle: int, block: int) -> DataFra
     signs = materialize(sets.mapInArrow(_class_signatures(percent), "sig long, key long"), "signs")
     hubs = signs.groupBy("sig").agg(F.min("key").alias("b"), F.max("key").alias("most")).filter("most > b").select("sig", "b")
     clusters = materialize(connected_components(signs.join(hubs, "sig").select(F.col("key").alias("a"), "b")).withColumnRenamed("node", "key"), "clusters")
-    sizes = clusters.groupBy(F.col("component").alias("cluster")).agg(F.count("*").alias("m"))
-    sizes = materialize(sizes, "cluster_sizes")
-    tasks = max(partitions, (sizes.agg(F.sum("m")).first()[0] or 0) // 500 + 1)
-    placed = clusters.withColumnRenamed("component", "cluster").join(sizes, "cluster").select("key", "cluster", F.ceil(F.col("m") / block).cast("int").alias("g"))
+    sizes = clusters.join(sets.select("key", (F.length("elements") / 8).cast("long").alias("n")), "key")
+    sizes = materialize(sizes.groupBy(F.col("component").alias("cluster")).agg(F.count("*").alias("m"), F.sum("n").alias("n")), "cluster_sizes")
+    every = sizes.agg(F.coalesce(F.sum("m"), F.lit(0)).alias("m"), F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()
+    tasks = max(partitions, every["m"] // 500 + 1, every["n"] // heavy + 1)
+    parts = F.greatest(F.ceil(F.col("m") / block), F.ceil(F.col("n") / heavy)).cast("int")
+    placed = clusters.withColumnRenamed("component", "cluster").join(sizes, "cluster").select("key", "cluster", parts.alias("g"))
     placed = placed.withColumn("i", F.pmod(F.xxhash64("key"), F.col("g")).cast("int"))
     placed = placed.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("g") - 1)))
     placed = placed.select("key", "cluster", F.col("i").alias("side"), F.when(F.col("g") == 1, -F.pmod(F.xxhash64("cluster"), F.lit(tasks)) - 1).otherwise(F.abs(F.xxhash64("cluster", F.least("i", "j"), F.greatest("i", "j")))).alias("task"))
     placed = materialize(placed, "placed")
+    return narrow, classes, sets, placed
+
+
+def _grouped(docs: DataFrame, percent: int, shingle: int, block: int) -> DataFrame:
+    """rid (hash of id and text), doc_id, n, group (of linked sets), c (its smallest id) of every row."""
+    narrow, classes, sets, placed = _possible(docs, percent, shingle, block)
     forest = placed.join(sets, "key").groupBy("task").applyInArrow(_verified(percent), "a long, b long")
     linked = connected_components(forest).withColumnRenamed("node", "key")
     linked = materialize(linked.join(classes.select("key", "least"), "key"), "linked")
@@ -444,16 +466,33 @@ def near_duplicates(docs: DataFrame, percent: int = 80, shingle: int = 5, block:
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("c")).otherwise(F.col("doc_id")).alias("component_id"))
 
 
+def linked_classes(docs: DataFrame, percent: int = 80, shingle: int = 5, block: int = 1024) -> tuple[DataFrame, DataFrame]:
+    """The whole join: pairs of classes of equal sets that link (a < b), none left out; and doc_id, key (class, null without
+    words) and n_links of every row, the number of other rows that it links with, those of its own class included.
+
+    Unlike near_duplicates it counts every possible pair of a cluster, so its cost grows with the square of a cluster's classes,
+    spread over tasks of block x block."""
+    narrow, classes, sets, placed = _possible(docs, percent, shingle, block)
+    pairs = placed.join(sets, "key").groupBy("task").applyInArrow(_verified(percent, True), "a long, b long")
+    pairs = materialize(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "pairs")
+    sizes = materialize(narrow.filter("n > 0").groupBy("key").agg(F.count("*").alias("m")), "class_sizes")
+    both = pairs.select(F.col("a").alias("key"), F.col("b").alias("other")).union(pairs.select(F.col("b"), F.col("a")))
+    more = both.join(sizes.select(F.col("key").alias("other"), "m"), "other").groupBy("key").agg(F.sum("m").alias("more"))
+    per = sizes.join(more, "key", "left").select("key", (F.col("m") - 1 + F.coalesce("more", F.lit(0))).alias("n_links"))
+    rows = narrow.select("doc_id", F.when(F.col("n") > 0, F.col("key")).alias("key")).join(per, "key", "left").select("doc_id", "key", F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    return pairs, rows
+
+
 def keep_one(docs: DataFrame, percent: int = 80, shingle: int = 5, block: int = 1024) -> DataFrame:
     """The rows of docs, all columns as they are, less those linked with a kept one: of each group one row with
     its smallest id stays, and so do all rows without words."""
     grouped = materialize(_grouped(docs, percent, shingle, block), "grouped")
-    first = materialize(grouped.filter(F.col("n") > 0).filter(F.col("doc_id").eqNullSafe(F.col("c"))).groupBy("group").agg(F.min("rid").alias("__rid")).select("__rid"), "first")
-    stays = first.union(grouped.filter("n = 0").select(F.col("rid").alias("__rid")).distinct())
-    keyed = docs.withColumn("__rid", F.xxhash64(F.col("doc_id").cast("long"), F.coalesce("text", F.lit(""))))
-    kept = keyed.join(stays, "__rid", "left_semi")
-    again = grouped.filter("n > 0").groupBy(F.col("rid").alias("__rid")).agg(F.count("*").alias("m")).filter("m > 1").select("__rid")
-    again = materialize(again.join(first, "__rid", "left_semi"), "again")  # rows that repeat as a whole
+    first = materialize(grouped.filter(F.col("n") > 0).filter(F.col("doc_id").eqNullSafe(F.col("c"))).groupBy("group").agg(F.min("rid").alias("rid")).select("rid"), "first")
+    stays = first.union(grouped.filter("n = 0").select("rid").distinct())
+    keyed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.xxhash64(F.col("doc_id").cast("long"), F.coalesce("text", F.lit(""))).alias("rid"))
+    kept = keyed.join(stays, "rid", "left_semi")
+    again = grouped.filter("n > 0").groupBy("rid").agg(F.count("*").alias("m")).filter("m > 1").select("rid")
+    again = materialize(again.join(first, "rid", "left_semi"), "again")  # rows that repeat as a whole
     if not again.isEmpty():
-        kept = kept.join(again, "__rid", "left_anti").union(kept.join(again, "__rid", "left_semi").dropDuplicates(["__rid"]))
-    return kept.drop("__rid")
+        kept = kept.join(again, "rid", "left_anti").union(kept.join(again, "rid", "left_semi").dropDuplicates(["rid"]))
+    return kept.select(*(F.col(f"row.`{c}`") for c in docs.columns))
