@@ -20,6 +20,7 @@ from __future__ import annotations
 
 import json
 import math
+import warnings
 from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame
@@ -159,6 +160,8 @@ def fit(member: DataFrame, domains: list[str], m: Mixture) -> tuple[list[list[fl
         r = rate_of(history, k)
         row = member.agg(*(F.sum(F.col("__n") * x * r).alias(f"s{i}") for i, x in enumerate(p))).first()
         reached = [row[f"s{i}"] or 0.0 for i in range(k)]
+    if max(abs(a - b) for a, b in zip(reached, target)) > m.tolerance * budget:
+        warnings.warn(f"rates reach {reached} of the targets {target} in {m.steps} steps", stacklevel=2)
     return history, target, reached
 
 
@@ -176,18 +179,20 @@ def mix(docs: DataFrame, labels: DataFrame, m: Mixture = Mixture()) -> tuple[Dat
     return out, {"domains": model[0], "target": target, "reached": reached, "steps": len(history)}
 
 
-def copies(rate: str, row_hash: str) -> Column:
+def copies(rate: Column | str, row_hash: str) -> Column:
+    rate = F.col(rate) if isinstance(rate, str) else rate
     part = F.pmod(F.xxhash64(F.col(row_hash), F.lit(17)), F.lit(1_000_003)) / F.lit(1_000_003.0)
-    return (F.floor(rate) + (part < F.col(rate) - F.floor(rate)).cast("long")).cast("long")
+    return (F.floor(rate) + (part < rate - F.floor(rate)).cast("long")).cast("long")
 
 
 def resample(docs: DataFrame, labels: DataFrame, m: Mixture = Mixture()) -> DataFrame:
     """docs with each row as often as its copies say; all columns stay."""
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     model = classifier(slim, labels, m)
-    member = memberships(docs, model, m).withColumn("__h", F.xxhash64(F.col("doc_id").cast("long"), "text"))
+    row = F.struct(*(F.col(f"`{c}`") for c in docs.columns))
+    member = memberships(docs.select(row.alias("row"), "text", F.xxhash64(F.col("doc_id").cast("long"), "text").alias("h")), model, m).drop("text")
     # written once: the fit reads two narrow columns, and no step of the rate scores a text again
     member = materialize(member, "members", codec="zstd")
     history, _, _ = fit(member.select("__n", "__p"), model[0], m)
-    rated = member.withColumn("__r", rate_of(history, len(model[0])))
-    return rated.withColumn("__c", F.explode(F.sequence(F.lit(1), F.greatest(copies("__r", "__h"), F.lit(1)).cast("int")))).filter(copies("__r", "__h") > 0).select(*docs.columns)
+    rated = member.withColumn("copies", copies(rate_of(history, len(model[0])), "h")).filter("copies > 0")
+    return rated.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(*(F.col(f"row.`{c}`") for c in docs.columns))
