@@ -83,7 +83,11 @@ def counts(df: DataFrame, by: tuple = (), complete: str = "observed", k: int = 8
 
 def summary(df: DataFrame, by: tuple = ("policy_id",), complete: str = "observed") -> DataFrame:
     """P-Pass@1, P-Pass@8, P-V, P-B, P-R and F1 by group: one shuffle by pair, one of a row per group and task."""
-    per = counts(df, by, complete).filter("n > 0")
+    return summary_of(counts(df, by, complete).filter("n > 0"), by)
+
+
+def summary_of(per: DataFrame, by: tuple) -> DataFrame:
+    """The same from counts by pair (n, c, v, b, r)."""
     s = {x: F.sum(x) for x in "ncvbr"}
     share = lambda x: F.round(ratio(s[x], s["n"]), 6)
     tp, fn, fp = s["c"] + s["v"], s["b"] + s["r"], s["v"] + s["r"]

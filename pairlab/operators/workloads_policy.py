@@ -9,6 +9,7 @@ from pairlab.operators import objectives as O
 from pairlab.operators.workloads import CLS, ROLL, classed
 from pairlab.operators.workloads_rl import PLANS, graded_rollouts, plan
 from pairlab.plans import surrogate as S
+from pairlab.plans import training as T
 from pairlab.registry import query
 from pairlab.sources.fixtures import TOKENS, roll_sql, rollouts, token_rows
 from pairlab.sources.tables import load, saved, words
@@ -243,9 +244,42 @@ def surrogate_expected(spark, d):
     return S.evaluate(S.candidates(rollouts(spark, d)), W0).select("root_rate")
 
 
-@query("surrogate_grad_step", f"WITH {_FEAT}, f2 AS (SELECT pb.query_id, pb.prob, pb.ok, l_quantity / 50 AS f FROM pb JOIN roll ON roll.sample_id = pb.query_id AND roll.slot = pb.slot), q AS (SELECT query_id, coalesce(avg(f) FILTER (ok) - sum(prob * f), 0) AS g FROM f2 GROUP BY query_id) SELECT round(avg(g), 6) AS g1 FROM q")
-def surrogate_grad_step(spark, d):
-    return S._gradient_frame(S.candidates(rollouts(spark, d)), W0, S.weights_for("sft", 0.1)).select(F.round("g1", 6).alias("g1"))
+W1 = [0.0, -0.4, 0.2, -0.1, 0.1, 0.3]
+#: Log-probabilities under W0 (l0), W1 (l1) and the uniform policy (lu), and the mean of the second feature (e1).
+_LOGP = f"""{ROLL}, f0 AS (SELECT sample_id AS query_id, slot, {OK} AS ok, l_quantity / 50 AS f1,
+  0.1 - 0.8 * l_quantity / 50 + 0.5 * l_discount - 0.5 * l_tax + 0.3 * CAST(says_flawed AS INT) - 0.2 * CAST(coalesce(pred_code LIKE 'R%', false) AS INT) AS z0,
+  -0.4 * l_quantity / 50 + 0.2 * l_discount - 0.1 * l_tax + 0.1 * CAST(says_flawed AS INT) + 0.3 * CAST(coalesce(pred_code LIKE 'R%', false) AS INT) AS z1 FROM roll),
+l AS (SELECT *, z0 - ln(sum(exp(z0)) OVER w) AS l0, z1 - ln(sum(exp(z1)) OVER w) AS l1, -ln(count(*) OVER w) AS lu, sum(exp(z0) * f1) OVER w / sum(exp(z0)) OVER w AS e1,
+  row_number() OVER (PARTITION BY query_id, ok ORDER BY slot) AS k FROM f0 WINDOW w AS (PARTITION BY query_id)),
+pr AS (SELECT c.l0 AS cl, r.l0 AS rl, c.l1 AS c1, r.l1 AS r1, c.f1 AS cf, r.f1 AS rf, c.e1 AS e1 FROM l c JOIN l r ON c.query_id = r.query_id AND c.ok AND NOT r.ok AND c.k = r.k)"""
+_STEPS = {
+    "sft": (f"q AS (SELECT avg(l0) AS v, avg(f1) - any_value(e1) AS g FROM l WHERE ok GROUP BY query_id)", "sft", {}),
+    "dpo": (f"z AS (SELECT *, 0.1 * ((cl - c1) - (rl - r1)) AS z FROM pr), q AS (SELECT {LS.format('z')} AS v, 0.1 / (1 + exp(z)) * (cf - rf) AS g FROM z)", "dpo", {"pref_source": "teacher"}),
+    "orpo": (f"z AS (SELECT *, (cl - ln(1 - exp(cl))) - (rl - ln(1 - exp(rl))) AS z FROM pr), q AS (SELECT cl + 0.1 * {LS.format('z')} AS v, cf - e1 + 0.1 / (1 + exp(z)) * ((cf - e1) / (1 - exp(cl)) - (rf - e1) / (1 - exp(rl))) AS g FROM z)", "orpo", {}),
+    "group": (
+        "a0 AS (SELECT *, CASE WHEN ok THEN 1.0 ELSE -1.0 END AS r FROM l), a1 AS (SELECT *, avg(r) OVER (PARTITION BY query_id) AS m, stddev_pop(r) OVER (PARTITION BY query_id) AS s FROM a0), "
+        "a2 AS (SELECT *, CASE WHEN s < 1e-12 THEN 0 ELSE (r - m) / s END AS a, exp(l0 - l1) AS rho, l0 - lu AS d FROM a1), a3 AS (SELECT *, rho * a AS free, greatest(0.8, least(1.2, rho)) * a AS held FROM a2), "
+        "q AS (SELECT avg(least(free, held) - 0.1 * (exp(-d) - 1 + d)) AS v, avg(((CASE WHEN free <= held THEN free ELSE 0 END) - 0.1 * (1 - exp(-d))) * (f1 - e1)) AS g FROM a3 GROUP BY query_id)",
+        "rl", {"rl_reward": "reasoning", "rl_beta": 0.1},
+    ),
+}
+
+
+def one_step(spark, d, kind: str, **options):
+    """Objective and gradient (its second entry) of one objective at fixed weights, over the whole table."""
+    import numpy as np
+
+    ref = np.zeros(T.D) if kind == "rl" else np.array(W1)
+    step = T.Step(kind, T.Recipe("r", **options), np.array(W0), ref, np.array(W1), all_once=True)
+    return T.gradients(packed(spark, d), [step]).select("n", F.round("value", 6).alias("value"), F.round("g1", 6).alias("g1"))
+
+
+def packed(spark, d):
+    return saved(T.pack(S.candidates(graded_rollouts(spark, d))), "packed")
+
+
+for _n, (_sql, _kind, _opt) in _STEPS.items():
+    query(f"surrogate_step_{_n}", f"WITH {_LOGP}, {_sql} SELECT count(*) AS n, round(avg(v), 6) AS value, round(avg(g), 6) AS g1 FROM q")(lambda spark, d, k=_kind, o=_opt: one_step(spark, d, k, **o))
 
 
 @query("surrogate_rollouts")
@@ -253,54 +287,49 @@ def surrogate_rollouts(spark, d):
     return S.sample(S.candidates(rollouts(spark, d)), W0)
 
 
-def _results(spark, cands, recipes):
-    out, started = None, {}
-    for r in recipes:
-        one = S.evaluate(cands, S.train(cands, r, started)).withColumn("recipe", F.lit(r.name))
-        out = one if out is None else out.unionByName(one)
-    return out
+def _results(table, recipes):
+    """The six measures of each recipe's last weights."""
+    return T.measure(table, {name: w[-1] for name, w in T.fit(table, tuple(recipes)).items()})
 
 
 @query("rq1_metrics")
 def rq1_metrics(spark, d):
-    return _results(spark, saved(S.candidates(rollouts(spark, d)), "cands"), [r for r in S.RECIPES if r.name in ("zero_shot", "sft", "rationalized")])
+    """Supervised data by rejection, by rationalisation, and rationalised without reasoning and leaked truth."""
+    return _results(packed(spark, d), [T.zero_shot(1), *(T.Recipe(s, sft_source=s) for s in ("rejection", "rationalized", "answers"))])
 
 
 @query("rq2_epochs")
 def rq2_epochs(spark, d):
-    return _results(spark, saved(S.candidates(rollouts(spark, d)), "cands"), [S.Recipe(f"{p}_{e}", sft_epochs=e, preference=p) for p in ("dpo", "orpo") for e in range(1, 6)])
+    return _results(packed(spark, d), [T.Recipe(f"{p}_{e}", sft_epochs=e, preference=p) for p in ("dpo", "orpo") for e in range(1, 6)])
 
 
 @query("rq3_epochs")
 def rq3_epochs(spark, d):
-    return _results(spark, saved(S.candidates(rollouts(spark, d)), "cands"), [S.Recipe(f"rl_{e}", "rejection" if e else "none", e, rl_reward="reasoning") for e in range(6)])
+    return _results(packed(spark, d), [T.Recipe(f"rl_{e}", sft_source="rejection" if e else "none", sft_epochs=e, rl_reward="reasoning") for e in range(6)])
 
 
 @query("rq4_metrics")
 def rq4_metrics(spark, d):
-    """RL over each filter and schedule from one supervised start: every batch once, in its plan's order, in as many steps as
-    the recipe has, each of them a run of neighbouring batches."""
-    cands, recipe, out, started = saved(S.candidates(rollouts(spark, d)), "cands"), S.Recipe("rl", rl_reward="reasoning", rl_steps=4), None, {}
-    for filtered in (False, True):
-        for kind in PLANS:
-            rows = saved(plan(spark, d, kind, filtered), "plan")
-            batches = (rows.agg(F.max("batch_id")).first()[0] or 0) + 1
-            part = F.floor(F.col("batch_id") * recipe.rl_steps / batches).cast("int")
-            mine = saved(cands.join(rows.select(F.col("sample_id").alias("query_id"), part.alias("part")), "query_id", "left"), "planned")
-            one = S.evaluate(cands, S.train(mine, recipe, started, planned=True)).withColumns({"filter": F.lit("difficulty" if filtered else "full"), "schedule": F.lit(kind)})
-            out = one if out is None else out.unionByName(one)
-    return out
+    """On-policy training over each filter and schedule from one supervised start. Every batch comes once, in its plan's order;
+    a step takes a run of neighbouring batches."""
+    arms = [(f, k) for f in ("full", "difficulty") for k in PLANS]
+    recipes = [T.Recipe(f"{f}_{k}", rl_reward="reasoning", rl_filter=f, rl_schedule=k) for f, k in arms]
+    table = T.with_plans(packed(spark, d), {f"{f}_{k}": plan(spark, d, k, f == "difficulty") for f, k in arms}, recipes[0].rl_steps)
+    return _results(table, recipes)
 
 
 @query("rq5_curves")
 def rq5_curves(spark, d):
-    cands = saved(S.candidates(graded_rollouts(spark, d)), "cands")
-    return _results(spark, cands, [S.Recipe(f"{k}_{n}", sft_epochs=1, rl_reward=k, rl_steps=n) for k in S.REWARDS for n in (1, 3)])
+    """Measures after each on-policy step under each of the four rewards; step 0 is the supervised start."""
+    table = packed(spark, d)
+    trained = T.fit(table, tuple(T.Recipe(level, rl_reward=level) for level in T.REWARDS))
+    out = T.measure(table, {f"{level}:{k}": w for level, all in trained.items() for k, w in enumerate(all)})
+    return out.withColumns({"reward": F.substring_index("recipe", ":", 1), "step": F.substring_index("recipe", ":", -1).cast("int")}).drop("recipe")
 
 
 @query("rq6_compare")
 def rq6_compare(spark, d):
-    return _results(spark, saved(S.candidates(graded_rollouts(spark, d)), "cands"), S.RECIPES)
+    return _results(packed(spark, d), (*T.COMPARED, *T.FURTHER))
 
 
 @query("rq1_datasets", f"WITH {GOOD} SELECT 'rejection' AS source, count(DISTINCT sample_id) AS n_samples, count(*) AS n_rows FROM ok WHERE ok UNION ALL SELECT 'rationalized', count(DISTINCT sample_id), count(DISTINCT sample_id) FROM ok")

@@ -1,13 +1,10 @@
-"""A log-linear policy over finite candidate responses: probabilities, gradients, training, recipes.
+"""A log-linear policy over finite candidate responses: probabilities and draws in DataFrame functions, its six measures.
 
 It stands in for a language model so that objectives, data curation and rewards can run; its figures say
-nothing about one.  A step is one aggregation to a gradient of as many numbers as there are features."""
+nothing about one.  Objectives and training are in pairlab.plans.training."""
 
 from __future__ import annotations
 
-import math
-from dataclasses import dataclass
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -16,13 +13,13 @@ FEATURES = ("f0", "f1", "f2", "f3", "f4", "f5")
 
 
 def candidates(rolls: DataFrame) -> DataFrame:
-    """query_id, slot, features, root_ok, label_ok, safe of every rollout, and class_ok and specification where rolls have them as
-    class_hit and spec_reward; correctness is no feature."""
+    """query_id, slot, features, root_ok, label_ok, safe of every rollout, and class_hit and spec_reward where rolls have them;
+    correctness is no feature."""
     safe = ~F.col("says_flawed")
     values = (F.lit(1.0), F.col("l_quantity") / 50, F.col("l_discount").cast("double"), F.col("l_tax").cast("double"), F.col("says_flawed").cast("double"), F.coalesce(F.col("pred_code").startswith("R"), F.lit(False)).cast("double"))
     before = F.col("side") == "pre"
     root = F.when(before, F.col("target_reported")).otherwise(~F.col("target_reported"))
-    more = [F.col(a).alias(b) for a, b in (("class_hit", "class_ok"), ("spec_reward", "specification")) if a in rolls.columns]
+    more = [c for c in ("class_hit", "spec_reward") if c in rolls.columns]
     return rolls.select(F.col("sample_id").alias("query_id"), "pair_id", "side", "slot", *(v.alias(n) for v, n in zip(values, FEATURES)), root.alias("root_ok"), (F.col("says_flawed") == before).alias("label_ok"), safe.alias("safe"), F.col("target_reported"), *more)
 
 
@@ -40,94 +37,6 @@ def probabilities(cands: DataFrame, w: list[float]) -> DataFrame:
     return z.withColumn("prob", F.col("__e") / F.sum("__e").over(q)).drop("__z", "__e")
 
 
-def gradient(cands: DataFrame, w: list[float], weight: Column) -> list[float]:
-    """Mean over queries of sum_i weight_i * p-independent score (f_i - E f); weight: what each response counts."""
-    row = _gradient_frame(cands, w, weight).first()
-    return [row[f"g{k}"] or 0.0 for k in range(len(FEATURES))]
-
-
-def _gradient_frame(cands: DataFrame, w: list[float], weight: Column) -> DataFrame:
-    p = probabilities(cands, w).withColumn("__w", weight)
-    per = p.groupBy("query_id").agg(F.sum("__w").alias("w"), *(F.sum(F.col("prob") * F.col(f)).alias(f"e{k}") for k, f in enumerate(FEATURES)), *(F.sum(F.col("__w") * F.col(f)).alias(f"s{k}") for k, f in enumerate(FEATURES)))
-    return per.agg(*(F.avg(F.col(f"s{k}") - F.col("w") * F.col(f"e{k}")).alias(f"g{k}") for k in range(len(FEATURES))))
-
-
-@dataclass(frozen=True)
-class Recipe:
-    name: str
-    sft_source: str = "rejection"  # rejection, rationalized, none
-    sft_epochs: int = 3
-    preference: str = ""  # dpo, orpo
-    rl_reward: str = ""  # one of REWARDS
-    rl_steps: int = 3
-    rate: float = 2.0
-    beta: float = 0.1
-
-
-RECIPES = (
-    Recipe("zero_shot", "none", 0), Recipe("sft"), Recipe("rationalized", "rationalized"), Recipe("dpo", preference="dpo"), Recipe("orpo", preference="orpo"),
-    Recipe("rl_detection", rl_reward="detection"), Recipe("rl_reasoning", rl_reward="reasoning"),
-    Recipe("rl_prediction", rl_reward="prediction"), Recipe("rl_specification", rl_reward="specification"), Recipe("rl_no_cold_start", "none", 0, rl_reward="reasoning"),
-)
-
-#: Columns of candidates that the rewards of RL read: of label, class and root cause (+1 or -1), and the rubric's total.
-REWARDS = {"detection": "label_ok", "prediction": "class_ok", "reasoning": "root_ok", "specification": "specification"}
-
-
-def weights_for(objective: str, beta: float) -> Column:
-    """What each response counts in the gradient of an objective (p: prob; k right ones of n in the query)."""
-    q = W.partitionBy("query_id")
-    ok = F.col("root_ok").cast("double")
-    right, n = F.sum(ok).over(q), F.count("*").over(q)
-    wrong = n - right
-    chosen, rejected = F.when(right > 0, ok / right).otherwise(0.0), F.when(wrong > 0, (1 - ok) / wrong).otherwise(0.0)
-    if objective == "sft":
-        return chosen
-    if objective == "rationalized":  # answers taken over whatever the model itself could produce: by label only
-        label = F.col("label_ok").cast("double")
-        total = F.sum(label).over(q)
-        return F.when(total > 0, label / total).otherwise(0.0)
-    both = (right > 0) & (wrong > 0)
-    if objective in ("dpo", "orpo"):
-        return F.when(both, beta * (chosen - rejected) + (chosen if objective == "orpo" else 0.0)).otherwise(chosen if objective == "orpo" else F.lit(0.0))
-    if objective not in REWARDS:
-        raise ValueError(f"no objective or reward {objective}")
-    r = F.col(REWARDS[objective])
-    r = r if objective == "specification" else F.when(r, 1.0).otherwise(-1.0)
-    mean, std = F.sum(F.col("prob") * r).over(q), F.stddev_pop(r).over(q)
-    return F.when(std > 0, F.col("prob") * (r - mean) / std).otherwise(0.0)
-
-
-def train(cands: DataFrame, recipe: Recipe, started: dict | None = None, planned: bool = False) -> list[float]:
-    """The weights after all steps of a recipe.  started keeps those after each supervised epoch, for recipes that share
-    them; with planned, RL step k takes only the rows of cands whose part is k."""
-    w = [0.0] * len(FEATURES)
-    started = {} if started is None else started
-
-    def steps(objective: str, n: int, rate: float, first: int = 0, part=lambda k: cands) -> None:
-        for k in range(first, n):
-            g = gradient(part(k), w, weights_for(objective, recipe.beta))
-            for i, x in enumerate(g):
-                w[i] += rate / math.sqrt(1 + k) * x
-
-    if recipe.sft_source not in ("rejection", "rationalized", "none"):
-        raise ValueError(f"no source {recipe.sft_source}")
-    if recipe.sft_source != "none":
-        for k in range(recipe.sft_epochs):
-            key = (recipe.sft_source, recipe.rate, k)
-            if key not in started:
-                steps("sft" if recipe.sft_source == "rejection" else "rationalized", k + 1, recipe.rate, k)
-                started[key] = list(w)
-            w[:] = started[key]
-    if recipe.preference:
-        steps(recipe.preference, 2, recipe.rate / (recipe.beta if recipe.preference == "dpo" else 1))
-    if recipe.rl_reward:
-        if recipe.rl_reward not in REWARDS:
-            raise ValueError(f"no reward {recipe.rl_reward}")
-        steps(recipe.rl_reward, recipe.rl_steps, recipe.rate, part=(lambda k: cands.filter(F.col("part") == k)) if planned else lambda k: cands)
-    return w
-
-
 def evaluate(cands: DataFrame, w: list[float]) -> DataFrame:
     """Expected share of right answers, of right labels and of safe answers, over queries."""
     p = probabilities(cands, w)

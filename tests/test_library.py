@@ -102,35 +102,3 @@ def test_as_of_rows_of_every_user(spark):
     assert max(r.user_id for r in events) > 30
     got = registry.QUERIES["asof_checkpoint_all"](spark, sf).collect()
     assert len(got) == len(events) and {tuple(r) for r in got} == want
-
-
-def test_every_reward_trains_by_itself(spark):
-    from pairlab.operators.workloads_rl import graded_rollouts
-    from pairlab.plans import surrogate as S
-
-    cands = S.candidates(graded_rollouts(spark, SF)).cache()
-    want = {(r.sample_id, r.slot): r.reward for r in registry.QUERIES["reward_spec_linear"](spark, SF).collect()}
-    assert {(r.query_id, r.slot): r.specification for r in cands.collect()} == want
-    label = {(r.sample_id, r.slot): r.reward == 1 for r in registry.QUERIES["reward_prediction"](spark, SF).collect()}
-    assert {(r.query_id, r.slot): r.class_ok for r in cands.collect()} == label
-    zero = [0.0] * len(S.FEATURES)
-    assert len({tuple(S.gradient(cands, zero, S.weights_for(k, 0.1))) for k in S.REWARDS}) == 4
-    two = spark.createDataFrame([(1, 0.5, 0.7), (1, 0.5, -0.4), (2, 0.5, 0.2), (2, 0.5, 0.2)], "query_id long, prob double, specification double").withColumn("root_ok", F.lit(True))
-    assert sorted(round(r.w, 9) for r in two.select(S.weights_for("specification", 0.1).alias("w")).collect()) == [-0.5, 0, 0, 0.5]
-    with pytest.raises(ValueError, match="lenient"):
-        S.weights_for("lenient", 0.1)
-    recipe = S.Recipe("r", sft_epochs=2, rl_reward="specification", rl_steps=1)
-    started: dict = {}
-    S.train(cands, S.Recipe("s", sft_epochs=1), started)
-    assert S.train(cands, recipe, started) == pytest.approx(S.train(cands, recipe), abs=1e-9)
-
-
-def test_recipes_and_grids_are_whole(spark):
-    from pairlab.plans import surrogate as S
-
-    names = lambda q: [r.recipe for r in registry.QUERIES[q](spark, SF).collect()]
-    assert {"rl_specification", "rl_prediction"} <= {r.name for r in S.RECIPES} and len(names("rq6_compare")) == len(S.RECIPES)
-    assert names("rq3_epochs") == [f"rl_{e}" for e in range(6)] and names("rq2_epochs") == [f"{p}_{e}" for p in ("dpo", "orpo") for e in range(1, 6)]
-    assert names("rq5_curves") == [f"{k}_{n}" for k in ("detection", "prediction", "reasoning", "specification") for n in (1, 3)]
-    rows = registry.QUERIES["rq4_metrics"](spark, SF).collect()
-    assert len({(r["filter"], r.schedule) for r in rows}) == 6
