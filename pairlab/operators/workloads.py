@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from pairlab.operators import pairwise as P
 from pairlab.functions.scores import ratio
 from pairlab.registry import query
-from pairlab.sources.fixtures import EDGES, edges, roll_sql, rollouts
+from pairlab.sources.fixtures import EDGES, edges, policies, roll_sql, rollouts
 from pairlab.sources.tables import load
 
 ROLL = roll_sql()
@@ -26,11 +28,12 @@ def classed(spark, d, **options):
 
 
 def _policies(spark, d):
-    out = None
-    for name, margin in (("sft", 0), ("teacher", 10)):
-        df = rollouts(spark, d, margin).withColumn("policy_id", F.lit(name))
-        out = df if out is None else out.unionByName(df)
-    return out
+    return policies(spark, d, {"sft": 0, "teacher": 10})
+
+
+def plain(spark, d):
+    """Verdicts of the one policy without classes, which no measure of pairs reads."""
+    return policies(spark, d, {"sft": 0})
 
 
 def _summary_sql(by: str, src: str) -> str:
@@ -53,22 +56,22 @@ def pairwise_summary(spark, d):
 
 @query("pairwise_by_brand", f"WITH {SLOT} {_summary_sql('p_brand', 'sl')}")
 def pairwise_by_brand(spark, d):
-    return P.summary(rollouts(spark, d), ("p_brand",))
+    return P.summary(plain(spark, d), ("p_brand",))
 
 
 @query("ppass8_product", f"WITH {SLOT}, p AS (SELECT pair_id, 1 - product(1 - CAST(x AND NOT y AS INT)) AS v FROM sl GROUP BY pair_id) SELECT round(avg(v), 6) AS p_pass_8 FROM p")
 def ppass8_product(spark, d):
-    return P.counts(rollouts(spark, d)).filter("n > 0").agg(F.round(F.avg((F.col("c") > 0).cast("int")), 6).alias("p_pass_8"))
+    return P.counts(plain(spark, d)).filter("n > 0").agg(F.round(F.avg((F.col("c") > 0).cast("int")), 6).alias("p_pass_8"))
 
 
 @query("pass_at_curve", f"WITH {SLOT}, p AS (SELECT pair_id, count(*) AS n, sum(CAST(x AND NOT y AS INT)) AS c FROM sl GROUP BY pair_id), q AS (SELECT m, n, c, list_product(list_transform(range(0, m), lambda i: CAST(greatest(n - c - i, 0) AS DOUBLE) / (n - i))) AS miss FROM p, range(1, 9) r(m) WHERE m <= n) SELECT CAST(m AS INTEGER) AS m, round(avg(1 - miss), 6) AS pass_at FROM q GROUP BY m")
 def pass_at_curve(spark, d):
-    return P.pass_at(rollouts(spark, d))
+    return P.pass_at(plain(spark, d))
 
 
 @query("pair_pass_rate", f"WITH {SLOT} SELECT pair_id, count(*) AS n_slots, CAST(sum(CAST(x AND NOT y AS INT)) AS BIGINT) AS n_right, round(avg(CAST(x AND NOT y AS INT)), 6) AS rate FROM sl GROUP BY pair_id")
 def pair_pass_rate(spark, d):
-    return P.counts(rollouts(spark, d)).filter("n > 0").select("pair_id", F.col("n").alias("n_slots"), F.col("c").alias("n_right"), F.round(F.col("c") / F.col("n"), 6).alias("rate"))
+    return P.counts(plain(spark, d)).filter("n > 0").select("pair_id", F.col("n").alias("n_slots"), F.col("c").alias("n_right"), F.round(F.col("c") / F.col("n"), 6).alias("rate"))
 
 
 for _level in P.LEVELS:
@@ -114,13 +117,13 @@ def rq8_shares(spark, d):
     )
 
 
-JUDGED = f"{ROLL}, j AS (SELECT *, target_reported <> (l_orderkey % 50 = 0) AS a, target_reported <> (l_orderkey % 13 = 0) AS b FROM roll)"
+JUDGED = f"{ROLL}, j AS (SELECT *, target_reported <> (l_orderkey % 50 = 0) AS a, target_reported <> (l_orderkey % 13 = 0) AS b, target_reported <> (l_orderkey % 400 = 0) AS c FROM roll)"
 
 
 def judged(spark, d):
     df = rollouts(spark, d)
     flip = lambda k: F.col("target_reported") != (F.col("l_orderkey") % k == 0)
-    return df.withColumns({"a": flip(50), "b": flip(13)})
+    return df.withColumns({"a": flip(50), "b": flip(13), "c": flip(400)})
 
 
 @query("kappa_labels", "WITH c AS (SELECT count(*) AS n, sum(CAST(quality = toxic AS INT)) AS same, sum(quality) AS q, sum(toxic) AS t FROM labels), k AS (SELECT n, same / n AS po, (q * t + (n - q) * (n - t)) / (n * n) AS pe FROM c) SELECT n, round(po, 6) AS p_observed, round(pe, 6) AS p_chance, round((po - pe) / (1 - pe), 6) AS kappa FROM k")
@@ -155,9 +158,9 @@ def audit_accuracy(spark, d):
     return s.select("n", F.round(p, 6).alias("accuracy"), F.round((mid - half) / (1 + z * z / n), 6).alias("low"), F.round((mid + half) / (1 + z * z / n), 6).alias("high"))
 
 
-@query("judge_error", f"WITH {JUDGED}, {DRAW}, u AS (SELECT 'a' AS judge, a AS v, target_reported AS g FROM dr UNION ALL SELECT 'b', b, target_reported FROM dr) SELECT judge, count(*) AS n, count(*) FILTER (v = g) AS n_correct, count(*) FILTER (v <> g) AS n_incorrect, count(*) FILTER (v AND NOT g) AS n_lenient, round(count(*) FILTER (v <> g) / count(*), 6) AS error_rate FROM u GROUP BY judge")
+@query("judge_error", f"WITH {JUDGED}, {DRAW}, u AS (SELECT 'a' AS judge, a AS v, target_reported AS g FROM dr UNION ALL SELECT 'b', b, target_reported FROM dr UNION ALL SELECT 'c', c, target_reported FROM dr) SELECT judge, count(*) AS n, count(*) FILTER (v = g) AS n_correct, count(*) FILTER (v <> g) AS n_incorrect, count(*) FILTER (v AND NOT g) AS n_lenient, round(count(*) FILTER (v <> g) / count(*), 6) AS error_rate FROM u GROUP BY judge")
 def judge_error(spark, d):
-    rows = draw(judged(spark, d)).select(F.col("target_reported").alias("g"), F.explode(F.array(F.struct(F.lit("a").alias("judge"), F.col("a").alias("v")), F.struct(F.lit("b").alias("judge"), F.col("b").alias("v")))).alias("x")).select("g", "x.*")
+    rows = draw(judged(spark, d)).select(F.col("target_reported").alias("g"), F.explode(F.array(*(F.struct(F.lit(k).alias("judge"), F.col(k).alias("v")) for k in "abc"))).alias("x")).select("g", "x.*")
     wrong = F.count_if(F.col("v") != F.col("g"))
     return rows.groupBy("judge").agg(F.count("*").alias("n"), F.count_if(F.col("v") == F.col("g")).alias("n_correct"), wrong.alias("n_incorrect"), F.count_if(F.col("v") & ~F.col("g")).alias("n_lenient"), F.round(ratio(wrong, F.count("*")), 6).alias("error_rate"))
 
@@ -182,20 +185,25 @@ def side_bias(spark, d):
     return s.groupBy("side").agg(F.count("*").alias("n"), F.count_if((F.col("c") > 0) & (F.col("c") < F.col("n"))).alias("n_kept"), F.round(F.avg(F.col("c") / F.col("n")), 6).alias("mean_rate"))
 
 
-@query("exploration_gap", f"WITH {BOTH}, s AS ({_summary_sql('policy_id', 'pol')}) SELECT policy_id, round(p_pass_8 - p_pass_1, 5) AS gap FROM s")
+@query(
+    "exploration_gap",
+    f"""WITH {BOTH}, s AS ({_summary_sql('policy_id', 'pol')}), v AS (SELECT 'sft' AS policy_id, sample_id, target_reported AS t, n_tok FROM (WITH {ROLL} SELECT * FROM roll) UNION ALL SELECT 'teacher', sample_id, target_reported, n_tok FROM (WITH {roll_sql(10)} SELECT * FROM roll)),
+u AS (SELECT policy_id, sample_id, count(DISTINCT (t, n_tok // 100)) AS n FROM v GROUP BY ALL), w AS (SELECT policy_id, round(avg(n), 5) AS distinct_answers FROM u GROUP BY policy_id)
+SELECT policy_id, round(p_pass_8 - p_pass_1, 5) AS gap, distinct_answers FROM s JOIN w USING (policy_id)""",
+)
 def exploration_gap(spark, d):
-    return P.summary(_policies(spark, d)).select("policy_id", F.round(F.col("p_pass_8") - F.col("p_pass_1"), 5).alias("gap"))
+    """How far the best of eight lies above one, and distinct answers (verdict and length class) a query."""
+    rows = _policies(spark, d)
+    answers = rows.groupBy("policy_id", "sample_id").agg(F.count_distinct("target_reported", F.floor(F.col("n_tok") / 100)).alias("n")).groupBy("policy_id").agg(F.round(F.avg("n"), 5).alias("distinct_answers"))
+    gap = P.summary(rows).select("policy_id", F.round(F.col("p_pass_8") - F.col("p_pass_1"), 5).alias("gap"))
+    return gap.join(F.broadcast(answers), "policy_id")  # a row a policy
 
 
 EPOCHS = f"pol AS ({' UNION ALL '.join(_two(3 * e - 9, str(e)) for e in range(6))})"
 
 
 def epochs(spark, d):
-    out = None
-    for e in range(6):
-        df = rollouts(spark, d, 3 * e - 9).withColumn("policy_id", F.lit(str(e)))
-        out = df if out is None else out.unionByName(df)
-    return P.summary(out)
+    return P.summary(policies(spark, d, {str(e): 3 * e - 9 for e in range(6)}))
 
 
 @query("relative_gain", f"WITH {EPOCHS}, s AS ({_summary_sql('policy_id', 'pol')}) SELECT policy_id, p_pass_1, round((p_pass_1 - lag(p_pass_1) OVER (ORDER BY policy_id)) / lag(p_pass_1) OVER (ORDER BY policy_id), 5) AS gain FROM s")
@@ -218,4 +226,34 @@ def case_slots(spark, d):
     return side("pre", "before_reported").join(side("post", "after_reported"), ["pair_id", "slot"])
 
 
-query("self_pair_join", f"WITH {SLOT} {_summary_sql('p_brand', 'sl')}")(lambda spark, d: P.summary(rollouts(spark, d), ("p_brand",), "observed"))
+@query("self_pair_join", f"WITH {SLOT} {_summary_sql('p_brand', 'sl')}")
+def self_pair_join(spark, d):
+    """The pairwise measures by a self join of before and after, which the masks replace: rows meet by pair and slot."""
+    rows = plain(spark, d)
+    a = rows.filter("side = 'pre'").select("pair_id", "slot", "p_brand", F.col("target_reported").alias("x"))
+    b = rows.filter("side = 'post'").select("pair_id", "slot", F.col("target_reported").alias("y"))
+    one = lambda c: F.count_if(c).alias
+    x, y = F.col("x"), F.col("y")
+    per = a.join(b, ["pair_id", "slot"]).groupBy("p_brand", "pair_id").agg(F.count("*").alias("n"), one(x & ~y)("c"), one(x & y)("v"), one(~x & ~y)("b"), one(~x & y)("r"))
+    return P.summary_of(per, ("p_brand",))
+
+
+def bootstrap(df, reps: int = 200, seed: int = 42, by: tuple = ()):
+    """rep, p_pass_1, p_pass_8 of resampled pairs: each pair counts as often as a Poisson draw by a hash of pair and repetition says,
+    so one pass makes all repetitions, whatever the partitions."""
+    per = P.counts(df, by).filter("n > 0").select(*by, "pair_id", "n", "c").withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))))
+    u = F.pmod(F.xxhash64("pair_id", "rep", F.lit(seed)), F.lit(1_000_003)) / F.lit(1_000_003.0)
+    below, weight = 0.0, F.lit(0)
+    for k in range(8):  # P(more than 8) is 1e-6
+        below += math.exp(-1) / math.factorial(k)
+        weight = weight + (u >= below).cast("int")
+    w = per.withColumn("w", weight)
+    share = lambda a, b: F.round(ratio(F.sum(a), F.sum(b)), 6)
+    return w.groupBy(*by, "rep").agg(share(F.col("w") * F.col("c"), F.col("w") * F.col("n")).alias("p_pass_1"), share(F.when(F.col("c") > 0, F.col("w")).otherwise(0), F.col("w")).alias("p_pass_8"))
+
+
+@query("pair_bootstrap")
+def pair_bootstrap(spark, d):
+    """Intervals of P-Pass@1 and P-Pass@8 over 200 resamples of pairs."""
+    q = lambda c, p, n: F.expr(f"percentile({c}, {p})").alias(n)
+    return bootstrap(plain(spark, d)).agg(*(q(c, p, f"{c}_{n}") for c in ("p_pass_1", "p_pass_8") for p, n in ((0.025, "low"), (0.5, "mid"), (0.975, "high"))))

@@ -101,9 +101,34 @@ def without_thoughts(text):
     return F.regexp_replace(text, "(?s)<think>.*?(</think>|$)", "")
 
 
-@query("scrub_leaks", "SELECT doc_id, array_to_string(list_filter(string_split(text, '. '), lambda s: NOT regexp_matches(s, '[0-9]')), '. ') AS text FROM documents")
+def scrub(text, terms):
+    """text without the sentences that hold a term of an array column."""
+    return F.array_join(F.filter(F.split(text, "\\. "), lambda s: ~F.exists(terms, lambda t: F.contains(s, t))), ". ")
+
+
+@query("scrub_leaks", "SELECT doc_id, array_to_string(list_filter(string_split(d.text, '. '), lambda s: len(list_filter(regexp_extract_all(b.text, '[A-Za-z]{8,}'), lambda t: contains(s, t))) = 0), '. ') AS text FROM documents d JOIN (SELECT *, count(*) OVER () AS m FROM benchmark) b ON b.item_id = d.doc_id % m")
 def scrub_leaks(spark, d):
-    return load(spark, d, "documents", "doc_id", "text").select("doc_id", F.array_join(F.filter(F.split("text", "\\. "), lambda s: ~s.rlike("[0-9]")), ". ").alias("text"))
+    """Sentences that hold a long term of the document's evidence go."""
+    terms = F.regexp_extract_all("evidence", F.lit("([A-Za-z]{8,})"), F.lit(1))
+    return with_evidence(spark, d).select("doc_id", scrub(F.col("text"), terms).alias("text"))
+
+
+def with_evidence(spark, d):
+    """Documents with the text of the benchmark item that stands for their ground truth."""
+    b = load(spark, d, "benchmark")
+    docs = load(spark, d, "documents", "doc_id", "text").withColumn("item_id", F.col("doc_id") % b.count())
+    return docs.join(b.select("item_id", F.col("text").alias("evidence")), "item_id")
+
+
+def drop_leaky_answers(df, answer: str, evidence: str, least: int = 8):
+    """Rows whose answer holds none of the evidence's words of least letters or more."""
+    terms = F.regexp_extract_all(evidence, F.lit(f"([A-Za-z]{{{least},}})"), F.lit(1))
+    return df.filter(~F.exists(terms, lambda t: F.contains(F.col(answer), t)))
+
+
+@query("drop_leaky_answers", "SELECT doc_id FROM documents d JOIN (SELECT *, count(*) OVER () AS m FROM benchmark) b ON b.item_id = d.doc_id % m WHERE len(list_filter(regexp_extract_all(b.text, '[A-Za-z]{8,}'), lambda t: contains(d.text, t))) = 0")
+def leakless_documents(spark, d):
+    return drop_leaky_answers(with_evidence(spark, d), "text", "evidence").select("doc_id")
 
 
 @query("chat_examples", "SELECT conv_id, count(*) AS n_turns, string_agg(role, '>' ORDER BY turn) AS roles FROM conversations GROUP BY conv_id")
@@ -112,15 +137,15 @@ def chat_examples(spark, d):
     return load(spark, d, "conversations", "conv_id", "turn", "role").groupBy("conv_id").agg(F.count("*").alias("n_turns"), F.array_join(F.transform(m, lambda x: x["role"]), ">").alias("roles"))
 
 
-@query("sft_step_plan", "WITH r AS (SELECT e AS epoch, doc_id, e * (SELECT count(*) FROM documents) + row_number() OVER (PARTITION BY e ORDER BY md5('42:' || e || ':' || doc_id), doc_id) - 1 AS k FROM documents, range(0, 2) t(e)), s AS (SELECT epoch, doc_id, k // 256 AS step, (2 * (SELECT count(*) FROM documents) + 255) // 256 AS total FROM r) SELECT CAST(step AS BIGINT) AS step, count(*) AS n, round(1e-5 * CASE WHEN step + 1 <= ceil(0.1 * any_value(total)) THEN (step + 1) / ceil(0.1 * any_value(total)) ELSE (any_value(total) - step) / (any_value(total) - ceil(0.1 * any_value(total))) END, 12) AS lr FROM s GROUP BY step")
+@query("sft_step_plan", "WITH r AS (SELECT e AS epoch, doc_id, e * (SELECT count(*) FROM documents) + row_number() OVER (PARTITION BY e ORDER BY md5('42:' || e || ':' || doc_id), doc_id) - 1 AS k FROM documents, range(0, 5) t(e)), s AS (SELECT epoch, doc_id, k // 256 AS step, (5 * (SELECT count(*) FROM documents) + 255) // 256 AS total FROM r) SELECT CAST(step AS BIGINT) AS step, count(*) AS n, round(1e-5 * CASE WHEN step + 1 <= ceil(0.1 * any_value(total)) THEN (step + 1) / ceil(0.1 * any_value(total)) ELSE (any_value(total) - step) / (any_value(total) - ceil(0.1 * any_value(total))) END, 12) AS lr FROM s GROUP BY step")
 def sft_step_plan(spark, d):
     from pairlab.operators.rl import global_rank
 
     docs = load(spark, d, "documents", "doc_id")
     n = docs.count()
-    rows = docs.withColumn("epoch", F.explode(F.array(F.lit(0), F.lit(1))))
+    rows = docs.withColumn("epoch", F.explode(F.sequence(F.lit(0), F.lit(4))))
     k = global_rank(rows, F.col("epoch"), F.md5(F.concat_ws(":", F.lit("42"), "epoch", "doc_id")), F.col("doc_id"))
-    total = (2 * n + 255) // 256
+    total = (5 * n + 255) // 256
     warm = F.ceil(F.lit(0.1 * total))
     step = F.floor(F.col("rank") / 256)
     lr = F.when(F.col("step") + 1 <= warm, (F.col("step") + 1) / warm).otherwise((total - F.col("step")) / (total - warm))
@@ -144,10 +169,12 @@ def prefs(df, pairing: str):
 
 
 _RANK = "ra AS (SELECT *, row_number() OVER (PARTITION BY sample_id, ok ORDER BY slot) AS k FROM ok)"
-_COND = {"first": "a.k = 1 AND b.k = 1", "zip": "a.k = b.k", "cross": "true"}
-for _p, _c in _COND.items():
-    query(f"prefs_{_p}", f"WITH {GOOD}, {_RANK} SELECT a.sample_id, CAST(a.slot AS INTEGER) AS chosen_slot, CAST(b.slot AS INTEGER) AS rejected_slot FROM ra a JOIN ra b ON a.sample_id = b.sample_id AND a.ok AND NOT b.ok AND {_c}")(lambda spark, d, p=_p: prefs(graded(spark, d), p))
-query("prefs_teacher", f"WITH {roll_sql(10)}, ok AS (SELECT *, {OK} AS ok FROM roll), {_RANK} SELECT a.sample_id, CAST(a.slot AS INTEGER) AS chosen_slot, CAST(b.slot AS INTEGER) AS rejected_slot FROM ra a JOIN ra b ON a.sample_id = b.sample_id AND a.ok AND NOT b.ok AND a.k = b.k")(lambda spark, d: prefs(graded(spark, d, 10), "zip"))
+_SIDES = f"{_RANK}, good AS (SELECT sample_id, slot, k FROM ra WHERE ok), bad AS (SELECT sample_id, slot, k FROM ra WHERE NOT ok)"
+_SLOTS = "SELECT sample_id, CAST(good.slot AS INTEGER) AS chosen_slot, CAST(bad.slot AS INTEGER) AS rejected_slot FROM"
+_MEET = {"first": "(SELECT * FROM good WHERE k = 1) good JOIN (SELECT * FROM bad WHERE k = 1) bad USING (sample_id)", "zip": "good JOIN bad USING (sample_id, k)", "cross": "good JOIN bad USING (sample_id)"}
+for _p, _c in _MEET.items():
+    query(f"prefs_{_p}", f"WITH {GOOD}, {_SIDES} {_SLOTS} {_c}")(lambda spark, d, p=_p: prefs(graded(spark, d), p))
+query("prefs_teacher", f"WITH {roll_sql(10)}, ok AS (SELECT *, {OK} AS ok FROM roll), {_SIDES} {_SLOTS} {_MEET['zip']}")(lambda spark, d: prefs(graded(spark, d, 10), "zip"))
 
 
 @query("prefs_coverage", f"WITH {GOOD}, s AS (SELECT sample_id, count(*) AS n, count(*) FILTER (ok) AS c FROM ok GROUP BY sample_id) SELECT count(*) AS n, count(*) FILTER (c = n) AS n_all_right, count(*) FILTER (c = 0) AS n_all_wrong FROM s")
@@ -156,11 +183,26 @@ def prefs_coverage(spark, d):
     return s.agg(F.count("*").alias("n"), F.count_if(F.col("c") == F.col("n")).alias("n_all_right"), F.count_if(F.col("c") == 0).alias("n_all_wrong"))
 
 
-@query("prefs_shift", f"WITH {GOOD}, h AS (SELECT n_tok // 50 AS b, count(*) FILTER (ok) / sum(count(*) FILTER (ok)) OVER () AS p, count(*) FILTER (NOT ok) / sum(count(*) FILTER (NOT ok)) OVER () AS q FROM ok GROUP BY b) SELECT round(sum(abs(p - q)) / 2, 6) AS distance FROM h")
+_HIST = "SELECT n_tok // 50 AS b, count(*) / sum(count(*)) OVER () AS {p} FROM (WITH {roll}, ok AS (SELECT *, {ok} AS ok FROM roll) SELECT * FROM ok WHERE ok) GROUP BY b"
+
+
+def shift(a, b):
+    """distance: total variation between the histograms (columns b, p) of two sources, of which each may lack a bin."""
+    both = a.select("b", F.col("p").alias("p")).join(b.select("b", F.col("p").alias("q")), "b", "full_outer")
+    return both.agg(F.round(F.sum(F.abs(F.coalesce("p", F.lit(0.0)) - F.coalesce("q", F.lit(0.0)))) / 2, 6).alias("distance"))
+
+
+@query(
+    "prefs_shift",
+    f"WITH x AS ({_HIST.format(p='p', roll=roll_sql(), ok=OK)}), y AS ({_HIST.format(p='q', roll=roll_sql(10), ok=OK)}) SELECT round(sum(abs(coalesce(p, 0) - coalesce(q, 0))) / 2, 6) AS distance FROM x FULL JOIN y USING (b)",
+)
 def prefs_shift(spark, d):
-    h = graded(spark, d).groupBy(F.floor(F.col("n_tok") / 50).alias("b")).agg(F.count_if("ok").alias("p"), F.count_if(~F.col("ok")).alias("q"))
-    total = h.agg(F.sum("p").alias("sp"), F.sum("q").alias("sq"))
-    return h.join(F.broadcast(total)).agg(F.round(F.sum(F.abs(F.col("p") / F.col("sp") - F.col("q") / F.col("sq"))) / 2, 6).alias("distance"))
+    """How far the lengths of the policy's own chosen responses lie from the teacher's."""
+    def lengths(margin: int):
+        h = graded(spark, d, margin).filter("ok").groupBy(F.floor(F.col("n_tok") / 50).alias("b")).agg(F.count("*").alias("n"))  # some bins
+        return h.join(F.broadcast(h.agg(F.sum("n").alias("all")))).select("b", (F.col("n") / F.col("all")).alias("p"))
+
+    return shift(lengths(0), lengths(10))
 
 
 # objectives
@@ -185,10 +227,19 @@ query("obj_dpo_sum", f"WITH {PREF} SELECT row_id, round({LS.format('0.1 * ((sca
 query("obj_orpo", f"WITH {PREF} SELECT row_id, round(ca + 0.1 * {LS.format('((ca - ln(1 - exp(ca))) - (ra - ln(1 - exp(ra))))')}, 6) AS value FROM pf")(lambda spark, d: _value(spark, d, O.orpo(F.col("c"), F.col("r"))))
 
 
-@query("beta_sweep", f"WITH {PREF}, b AS (SELECT * FROM (VALUES (0.01), (0.1), (1.0)) v(beta)), x AS (SELECT CAST(beta AS DOUBLE) AS beta, CAST(beta AS DOUBLE) * ((ca - cr) - (ra - rr)) AS z FROM pf, b) SELECT beta, round(avg({LS.format('z')}), 6) AS dpo FROM x GROUP BY beta")
+_ODDS = "((ca - ln(1 - exp(ca))) - (ra - ln(1 - exp(ra))))"
+
+
+@query(
+    "beta_sweep",
+    f"WITH {PREF}, g AS (SELECT CAST(beta AS DOUBLE) AS beta FROM (VALUES (0.01), (0.1), (1.0)) v(beta)), x AS (SELECT beta, beta * ((ca - cr) - (ra - rr)) AS z, ca + beta * {LS.format(_ODDS)} AS o FROM pf, g) "
+    f"SELECT beta, round(avg({LS.format('z')}), 6) AS dpo, round(avg(o), 6) AS orpo FROM x GROUP BY beta",
+)
 def beta_sweep(spark, d):
-    rows = pref_rows(spark, d).withColumn("g", F.explode(F.array(*(F.struct(F.lit(b).alias("beta"), O.dpo(F.col("c"), F.col("cr"), F.col("r"), F.col("rr"), b).alias("v")) for b in (0.01, 0.1, 1.0)))))
-    return rows.groupBy(F.col("g.beta").alias("beta")).agg(F.round(F.avg("g.v"), 6).alias("dpo"))
+    c, cr, r, rr = (F.col(k) for k in ("c", "cr", "r", "rr"))
+    cells = F.array(*(F.struct(F.lit(b).alias("beta"), O.dpo(c, cr, r, rr, b).alias("dpo"), O.orpo(c, r, b).alias("orpo")) for b in (0.01, 0.1, 1.0)))
+    rows = pref_rows(spark, d).select(F.explode(cells).alias("x")).select("x.*")
+    return rows.groupBy("beta").agg(F.round(F.avg("dpo"), 6).alias("dpo"), F.round(F.avg("orpo"), 6).alias("orpo"))
 
 
 @query("pref_margins", f"WITH {PREF}, x AS (SELECT 0.1 * ((ca - cr) - (ra - rr)) AS m FROM pf) SELECT count(*) AS n, round(avg(m), 6) AS mean_margin, round(avg(CAST(m > 0 AS INT)), 6) AS accuracy FROM x")
@@ -220,12 +271,14 @@ def udf_sql_log_sigmoid(spark, d):
     return rows.select("row_id", F.round(F.expr("log_sigmoid(z)"), 6).alias("value"))
 
 
-@query("judge_cosine", "SELECT a.vec_id, round(list_cosine_similarity(a.embedding, b.embedding), 4) AS cosine, a.label = b.label AS same FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")
-def judge_cosine(spark, d):
+@query("judge_cosine", "SELECT a.vec_id, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 4) AS cosine, list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) >= 0.05 AS correct, a.label = b.label AS gold FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")
+def judge_cosine(spark, d, tau: float = 0.05):
+    """A judge that calls a response right if it lies near the evidence; with the true answer beside it."""
     e = load(spark, d, "embeddings")
     b = e.select((F.col("vec_id") - 1).alias("vec_id"), F.col("embedding").alias("o"), F.col("label").alias("l"))
     dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p.cast("double") * q.cast("double")), F.lit(0.0), lambda s, v: s + v)
-    return e.join(b, "vec_id").select("vec_id", F.round(dot("embedding", "o") / F.sqrt(dot("embedding", "embedding") * dot("o", "o")), 4).cast("float").alias("cosine"), (F.col("label") == F.col("l")).alias("same"))
+    cosine = dot("embedding", "o") / F.sqrt(dot("embedding", "embedding") * dot("o", "o"))
+    return e.join(b, "vec_id").select("vec_id", F.round(cosine, 4).alias("cosine"), (cosine >= tau).alias("correct"), (F.col("label") == F.col("l")).alias("gold"))
 
 
 # surrogate policy

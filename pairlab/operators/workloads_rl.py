@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from pairlab.functions.scores import ratio
 from pairlab.operators import pairwise as P
 from pairlab.operators import rl
-from pairlab.operators.workloads import CLS, ROLL, SLOT, classed
+from pairlab.operators.workloads import CLS, ROLL, SLOT, classed, plain
 from pairlab.registry import query
 from pairlab.sources.fixtures import edges, rollouts
 from pairlab.sources.tables import load
@@ -18,7 +18,7 @@ RATE = f"{SLOT}, pr AS (SELECT pair_id, count(*) AS n, CAST(sum(CAST(x AND NOT y
 
 def rates(spark, d):
     """Pairs with all eight slots."""
-    return P.counts(rollouts(spark, d), complete="require").select("pair_id", F.col("c").alias("n_right"))
+    return P.counts(plain(spark, d), complete="require").select("pair_id", F.col("c").alias("n_right"))
 
 
 @query("difficulty_hist", f"WITH {RATE} SELECT CAST(k AS BIGINT) AS n_right, count(pf.pair_id) AS n_pairs FROM range(0, 9) r(k) LEFT JOIN pf ON pf.n_right = k GROUP BY k")
@@ -104,12 +104,6 @@ for _k, (_s, _f) in OKS.items():
     query(f"reward_{_k}", f"WITH {CLS} SELECT sample_id, CAST(slot AS INTEGER) AS slot, CASE WHEN {_s} THEN 1 ELSE -1 END AS reward FROM rc")(lambda spark, d, f=_f: classed(spark, d).select("sample_id", "slot", F.when(f(), 1).otherwise(-1).alias("reward")))
 
 
-@query("reward_all_levels", f"WITH {CLS} " + " UNION ALL ".join(f"SELECT sample_id, CAST(slot AS INTEGER) AS slot, '{k}' AS level, CAST(CASE WHEN {s} THEN 1 ELSE -1 END AS DOUBLE) AS reward FROM rc" for k, (s, _) in OKS.items()))
-def reward_all_levels(spark, d):
-    cells = F.array(*(F.struct(F.lit(k).alias("level"), F.when(f(), 1.0).otherwise(-1.0).alias("reward")) for k, (_, f) in OKS.items()))
-    return classed(spark, d).select("sample_id", "slot", F.explode(cells).alias("x")).select("sample_id", "slot", "x.*")
-
-
 @query("reward_exact_class", f"WITH {CLS} SELECT side, count(*) AS n, count(*) FILTER (pred_code = truth_code) AS n_exact, count(*) FILTER (class_ok) AS n_near FROM rc GROUP BY side")
 def reward_exact_class(spark, d):
     exact = P.class_match(rollouts(spark, d), edges(spark, d), distance=0).withColumnRenamed("class_ok", "exact")
@@ -144,6 +138,29 @@ for _g in ("linear", "hard"):
         lambda spark, d, g=_g: rubric(spark, d).select("sample_id", "slot", F.col("r1").cast("double").alias("r1"), F.col("r2").cast("double").alias("r2"), F.col("r3").cast("double").alias("r3"), rl.specification(F.col("r1"), F.col("r2"), F.col("r3"), gate=g).cast("double").alias("reward"))
     )
 
+
+def score(df, level: str, gate: str = "linear"):
+    """df (with class_ok, and r1, r2, r3 for the specification) with reward at a level."""
+    if level == "specification":
+        return df.withColumn("reward", rl.specification(F.col("r1"), F.col("r2"), F.col("r3"), gate=gate).cast("double"))
+    if level not in OKS:
+        raise ValueError(f"no reward level {level}")
+    return df.withColumn("reward", F.when(OKS[level][1](), 1.0).otherwise(-1.0))
+
+
+@query(
+    "reward_all_levels",
+    f"WITH {SPEC} " + " UNION ALL ".join(f"SELECT sample_id, CAST(slot AS INTEGER) AS slot, '{k}' AS level, CAST(CASE WHEN {s} THEN 1 ELSE -1 END AS DOUBLE) AS reward FROM rc" for k, (s, _) in OKS.items())
+    + " UNION ALL SELECT sample_id, CAST(slot AS INTEGER), 'specification', CAST(round(0.4 * r1 + 0.2 * r2 + 0.4 * r3, 6) AS DOUBLE) FROM s3",
+)
+def reward_all_levels(spark, d):
+    df = rubric(spark, d)
+    for k in (*OKS, "specification"):
+        df = score(df, k).withColumnRenamed("reward", f"by_{k}")
+    cells = F.array(*(F.struct(F.lit(k).alias("level"), F.col(f"by_{k}").alias("reward")) for k in (*OKS, "specification")))
+    return df.select("sample_id", "slot", F.explode(cells).alias("x")).select("sample_id", "slot", "x.*")
+
+
 GRID = ((0.4, 0.2, 0.4), (0.6, 0.2, 0.2), (0.2, 0.4, 0.4), (1.0, 0.0, 0.0))
 
 
@@ -181,8 +198,24 @@ def dead_groups(spark, d):
     return g.agg(F.count("*").alias("n_groups"), F.count_if("dead").alias("n_dead"), F.round(ratio(F.count_if("dead"), F.count("*")), 6).alias("share"))
 
 
-@query("hacking_monitor", f"WITH {EV}, i AS (SELECT iteration, avg(reward) AS m, avg(CAST(event_id % 3 = 0 AS INT)) AS root FROM ev GROUP BY iteration) SELECT CAST(iteration AS BIGINT) AS iteration, round(m, 6) AS mean_reward, round(root, 6) AS root_rate, coalesce(m > lag(m) OVER w AND root < lag(root) OVER w, false) AS alarm FROM i WINDOW w AS (ORDER BY iteration)")
+@query(
+    "hacking_monitor",
+    """WITH e0 AS (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS rn FROM events),
+e1 AS (SELECT (rn - 1) // 8 AS iteration, CASE WHEN event_type IN ('purchase', 'signup') THEN 1.0 ELSE -1.0 END AS reward, CAST(json_extract(props, '$.k') AS INTEGER) >= 50 AS root, event_type = 'view' AS safe FROM e0),
+i AS (SELECT iteration, avg(reward) AS m, avg(CAST(root AS INT)) AS r, avg(CAST(safe AS INT)) AS s FROM e1 GROUP BY iteration),
+w AS (SELECT iteration, s, avg(m) OVER v AS m, avg(r) OVER v AS r, lag(iteration) OVER (ORDER BY iteration) AS before FROM i WINDOW v AS (ORDER BY iteration ROWS 2 PRECEDING))
+SELECT CAST(iteration AS BIGINT) AS iteration, round(m, 6) AS mean_reward, round(r, 6) AS root_rate, round(s, 6) AS safe_share,
+  coalesce(round(m, 9) > round(lag(m) OVER (ORDER BY iteration), 9) AND round(r, 9) < round(lag(r) OVER (ORDER BY iteration), 9), false) AS alarm FROM w""",
+)
 def hacking_monitor(spark, d):
-    i = event_groups(spark, d).groupBy("iteration").agg(F.avg("reward").alias("m"), F.avg((F.col("event_id") % 3 == 0).cast("int")).alias("root"))
-    w = W.orderBy("iteration")  # a row per iteration
-    return i.select("iteration", F.round("m", 6).alias("mean_reward"), F.round("root", 6).alias("root_rate"), F.coalesce((F.col("m") > F.lag("m").over(w)) & (F.col("root") < F.lag("root").over(w)), F.lit(False)).alias("alarm"))
+    """By iteration: reward and root-cause rate (graded reward of props not negative) in moving windows of three, share of safe answers;
+    an alarm where the first rises while the second falls."""
+    rn = F.row_number().over(W.partitionBy("user_id").orderBy("ts", "event_id"))
+    e = load(spark, d, "events", "user_id", "event_id", "ts", "event_type", "props").withColumn("iteration", F.floor((rn - 1) / 8))
+    reward = F.when(F.col("event_type").isin("purchase", "signup"), 1.0).otherwise(-1.0)
+    share = lambda c: F.avg(c.cast("int"))
+    i = e.groupBy("iteration").agg(F.avg(reward).alias("m"), share(F.from_json("props", "k int")["k"] >= 50).alias("r"), share(F.col("event_type") == "view").alias("s"))
+    order = W.orderBy("iteration")  # a row per iteration
+    moving = i.select("iteration", "s", F.avg("m").over(order.rowsBetween(-2, 0)).alias("m"), F.avg("r").over(order.rowsBetween(-2, 0)).alias("r"))
+    rise = lambda c: F.round(c, 9) - F.round(F.lag(c).over(order), 9)
+    return moving.select("iteration", F.round("m", 6).alias("mean_reward"), F.round("r", 6).alias("root_rate"), F.round("s", 6).alias("safe_share"), F.coalesce((rise("m") > 0) & (rise("r") < 0), F.lit(False)).alias("alarm"))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -11,23 +11,41 @@ from pairlab.sources.tables import load
 ORDER = ("l_shipdate", "l_orderkey", "l_linenumber", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax")
 
 
-def rollouts(spark: SparkSession, sf_dir: str, margin: int = 0) -> DataFrame:
-    """Eight response pairs of each part; margin shifts how much a policy gets right."""
-    line = load(spark, sf_dir, "lineitem", "l_partkey", *ORDER, "l_returnflag")
+def _slots(spark: SparkSession, sf_dir: str, *columns: str) -> DataFrame:
+    """lineitem's rows as rollouts: eight response pairs of a part are its first sixteen rows, the k of the binding (a part has about
+    thirty rows; those beyond the sixteenth are no responses). One shuffle by part."""
+    line = load(spark, sf_dir, "lineitem", "l_partkey", *dict.fromkeys((*ORDER, *columns)))
     rn = F.row_number().over(W.partitionBy("l_partkey").orderBy(*ORDER))
     line = line.withColumn("rn", rn).filter("rn <= 16")
     part = load(spark, sf_dir, "part", "p_partkey", "p_size", "p_brand")
-    df = line.join(part, F.col("l_partkey") == F.col("p_partkey"))
     before = F.col("rn") % 2 == 1
+    return line.join(part, F.col("l_partkey") == F.col("p_partkey")).withColumns({
+        "pair_id": F.col("l_partkey"), "sample_id": 2 * F.col("l_partkey") + F.when(before, 0).otherwise(1), "side": F.when(before, "pre").otherwise("post"), "slot": ((F.col("rn") + 1) / 2).cast("int"),
+    })
+
+
+def _reported(margin) -> Column:
     right = F.col("l_quantity") <= F.col("p_size") + margin
-    reported = F.when(before, right).otherwise(~right)
+    return F.when(F.col("side") == "pre", right).otherwise(~right)
+
+
+def policies(spark: SparkSession, sf_dir: str, margins: dict[str, int]) -> DataFrame:
+    """policy_id, pair_id, sample_id, side, slot, p_brand, n_tok, target_reported of several policies from one scan, without classes."""
+    cells = F.array(*(F.struct(F.lit(k).alias("policy_id"), _reported(m).alias("target_reported")) for k, m in margins.items()))
+    n_tok = (10 * F.col("l_quantity").cast("int") + F.col("l_linenumber")).alias("n_tok")
+    return _slots(spark, sf_dir).select("pair_id", "sample_id", "side", "slot", "p_brand", n_tok, F.explode(cells).alias("x")).select("pair_id", "sample_id", "side", "slot", "p_brand", "n_tok", "x.*")
+
+
+def rollouts(spark: SparkSession, sf_dir: str, margin: int = 0) -> DataFrame:
+    """Eight response pairs of each part with predicted classes; margin shifts how much a policy gets right."""
+    df = _slots(spark, sf_dir, "l_returnflag")
+    reported = _reported(margin)
     nation = load(spark, sf_dir, "supplier", "s_suppkey", "s_nationkey").join(F.broadcast(load(spark, sf_dir, "nation", "n_nationkey", "n_regionkey")), F.col("s_nationkey") == F.col("n_nationkey"))
     df = df.join(nation, F.col("l_suppkey") == F.col("s_suppkey"))
     flawed = reported | (F.col("l_returnflag") == "R")
     code = F.when((F.col("l_orderkey") + F.col("l_linenumber")) % 3 == 0, F.concat(F.lit("R"), F.col("n_regionkey").cast("string"))).otherwise(F.concat(F.lit("N"), F.col("s_nationkey").cast("string")))
     return df.select(
-        F.col("l_partkey").alias("pair_id"), (2 * F.col("l_partkey") + F.when(before, 0).otherwise(1)).alias("sample_id"), F.when(before, "pre").otherwise("post").alias("side"), ((F.col("rn") + 1) / 2).cast("int").alias("slot"),
-        "p_brand", flawed.alias("says_flawed"), reported.alias("target_reported"), F.when(flawed, code).alias("pred_code"), F.concat(F.lit("N"), (F.col("l_partkey") % 25).cast("string")).alias("truth_code"),
+        "pair_id", "sample_id", "side", "slot", "p_brand", flawed.alias("says_flawed"), reported.alias("target_reported"), F.when(flawed, code).alias("pred_code"), F.concat(F.lit("N"), (F.col("l_partkey") % 25).cast("string")).alias("truth_code"),
         (10 * F.col("l_quantity").cast("int") + F.col("l_linenumber")).alias("n_tok"), "l_orderkey", "l_linenumber", "l_suppkey", "l_quantity", "l_discount", "l_tax",
     )
 
