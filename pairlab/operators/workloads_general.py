@@ -26,9 +26,9 @@ def range_split_band(s, d):
     return load(s, d, "part", "p_size").join(F.broadcast(band), F.col("p_size").between(F.col("lo"), F.col("hi"))).groupBy("band").agg(F.count("*").alias("n"))
 
 
-@query("asof_checkpoint", "SELECT e.event_id, (SELECT max(p.event_id) FROM events p WHERE p.user_id = e.user_id AND p.event_type = 'purchase' AND (p.ts < e.ts OR (p.ts = e.ts AND p.event_id <= e.event_id)) AND NOT EXISTS (SELECT 1 FROM events q WHERE q.user_id = e.user_id AND q.event_type = 'purchase' AND (q.ts, q.event_id) > (p.ts, p.event_id) AND (q.ts, q.event_id) <= (e.ts, e.event_id))) AS last_purchase FROM events e WHERE e.user_id <= 30")
+@query("asof_checkpoint", "SELECT event_id, last_value(CASE WHEN event_type = 'purchase' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS last_purchase FROM events")
 def asof_checkpoint(s, d):
-    return last_purchases(load(s, d, "events").filter("user_id <= 30"))  # the users of its SQL
+    return last_purchases(load(s, d, "events"))
 
 
 def last_purchases(events):
@@ -37,7 +37,39 @@ def last_purchases(events):
     return events.select("event_id", F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), ignorenulls=True).over(w).alias("last_purchase"))
 
 
-query("asof_checkpoint_all", "SELECT event_id, last_value(CASE WHEN event_type = 'purchase' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS last_purchase FROM events")(lambda s, d: last_purchases(load(s, d, "events")))
+@query("asof_order", "SELECT e.event_id, o.day AS last_order FROM (SELECT event_id, user_id, CAST(ts AS DATE) AS day FROM events) e ASOF LEFT JOIN (SELECT DISTINCT o_custkey, CAST(o_orderdate AS DATE) AS day FROM orders) o ON o.o_custkey = e.user_id AND e.day >= o.day")
+def asof_order(s, d):
+    """The customer's latest order day up to each event: two tables in one time line, no join."""
+    o = load(s, d, "orders", "o_custkey", "o_orderdate").select(F.col("o_custkey").alias("user_id"), F.to_date("o_orderdate").alias("day"), F.lit(None).cast("long").alias("event_id")).distinct()
+    e = load(s, d, "events", "user_id", "ts", "event_id").select("user_id", F.to_date("ts").alias("day"), "event_id")
+    # orders of a day come before its events
+    w = W.partitionBy("user_id").orderBy("day", F.col("event_id").isNotNull(), "event_id")
+    both = o.unionByName(e).withColumn("last_order", F.last(F.when(F.col("event_id").isNull(), F.col("day")), ignorenulls=True).over(w))
+    return both.filter("event_id is not null").select("event_id", "last_order")
+
+
+@query("theta_similarity", "SELECT a.doc_id AS a, b.doc_id AS b FROM documents a JOIN documents b ON a.lang = b.lang AND a.source = b.source AND substr(a.text, 1, 20) = substr(b.text, 1, 20) AND a.doc_id < b.doc_id AND abs(a.n_chars - b.n_chars) * 10 <= greatest(a.n_chars, b.n_chars)")
+def theta_similarity(s, d):
+    """A non-equal condition behind a block of equal keys, so that no nested loop runs."""
+    x = load(s, d, "documents", "doc_id", "lang", "source", "text", "n_chars").select("doc_id", "lang", "source", F.substring("text", 1, 20).alias("head"), "n_chars")
+    a, b = x.alias("a"), x.alias("b")
+    near = F.abs(F.col("a.n_chars") - F.col("b.n_chars")) * 10 <= F.greatest("a.n_chars", "b.n_chars")
+    same = [F.col(f"a.{c}") == F.col(f"b.{c}") for c in ("lang", "source", "head")]
+    return a.join(b, same[0] & same[1] & same[2] & (F.col("a.doc_id") < F.col("b.doc_id")) & near).select(F.col("a.doc_id").alias("a"), F.col("b.doc_id").alias("b"))
+
+
+@query("project_verdicts", "SELECT l_partkey AS pair_id, l_quantity > 25 AS flagged, coalesce(nullif(l_returnflag, 'N'), 'none') AS code FROM lineitem")
+def project_verdicts(s, d):
+    side = F.when(F.col("l_returnflag").isin("A", "N", "R"), True).otherwise(F.raise_error(F.lit("unknown flag")).cast("boolean"))  # a check of the domain
+    rows = load(s, d, "lineitem", "l_partkey", "l_quantity", "l_returnflag").filter(side)
+    return rows.select(F.col("l_partkey").alias("pair_id"), (F.col("l_quantity") > 25).alias("flagged"), F.coalesce(F.nullif("l_returnflag", F.lit("N")), F.lit("none")).alias("code"))
+
+
+query("agg_histogram", "SELECT p_brand, p_size // 10 AS bin, count(*) AS n FROM part GROUP BY ALL")(lambda s, d: load(s, d, "part", "p_brand", "p_size").groupBy("p_brand", F.floor(F.col("p_size") / 10).alias("bin")).agg(F.count("*").alias("n")))
+query("agg_corr", "SELECT l_returnflag, round(corr(l_quantity, l_extendedprice), 6) AS r, round(stddev_pop(l_quantity), 6) AS sd, round(stddev_samp(l_quantity), 6) AS ss FROM lineitem GROUP BY 1")(lambda s, d: load(s, d, "lineitem", "l_returnflag", "l_quantity", "l_extendedprice").groupBy("l_returnflag").agg(F.round(F.corr("l_quantity", "l_extendedprice"), 6).alias("r"), F.round(F.stddev_pop("l_quantity"), 6).alias("sd"), F.round(F.stddev_samp("l_quantity"), 6).alias("ss")))
+query("agg_listagg", "SELECT n_regionkey, string_agg(n_name, ',' ORDER BY n_name) AS names FROM nation GROUP BY 1")(lambda s, d: load(s, d, "nation").groupBy("n_regionkey").agg(F.expr("listagg(n_name, ',') WITHIN GROUP (ORDER BY n_name)").alias("names")))
+query("agg_min_max_by", "SELECT p_brand, min_by(p_partkey, (p_size, p_partkey)) AS easiest, max_by(p_partkey, (p_size, p_partkey)) AS hardest FROM part GROUP BY 1")(lambda s, d: load(s, d, "part", "p_brand", "p_partkey", "p_size").groupBy("p_brand").agg(F.min_by("p_partkey", F.struct("p_size", "p_partkey")).alias("easiest"), F.max_by("p_partkey", F.struct("p_size", "p_partkey")).alias("hardest")))
+query("agg_sketches")(lambda s, d: load(s, d, "lineitem", "l_returnflag", "l_partkey", "l_quantity").groupBy("l_returnflag").agg(F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey")).alias("n_parts"), F.percentile_approx("l_quantity", 0.5).alias("median")))
 
 
 query("agg_cube_class_side", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)")(lambda s, d: load(s, d, "lineitem").cube("l_returnflag", "l_linestatus").agg(F.count("*").alias("n")))
@@ -83,6 +115,59 @@ query("fn_map", "SELECT doc_id, lang AS v FROM documents")(lambda s, d: load(s,
 query("fn_json", "SELECT event_id, CAST(json_extract(props, '$.k') AS INTEGER) AS k FROM events")(lambda s, d: load(s, d, "events").select("event_id", F.from_json("props", "k int")["k"].alias("k")))
 
 
+query("fn_variant", "SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM events")(lambda s, d: load(s, d, "events", "event_id", "props").select("event_id", F.variant_get(F.parse_json("props"), "$.k", "long").alias("k")))
+
+
+def register_table_functions(spark):
+    """split_response(text): the parts of a response; patch_diff(before, after): the lines that only one of two texts has."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="part string, body string")
+    class SplitResponse:
+        def eval(self, text: str):
+            if text is None:
+                return
+            head, opened, rest = text.partition("<think>")
+            thought, closed, answer = rest.partition("</think>")
+            if opened:
+                yield "think", thought
+            yield "answer", head + answer if opened else text
+
+    @udtf(returnType="sign string, line string")
+    class PatchDiff:
+        def eval(self, before: str, after: str):
+            a, b = (before or "").split("\n"), (after or "").split("\n")
+            for x in dict.fromkeys(a):
+                if x not in set(b):
+                    yield "-", x
+            for x in dict.fromkeys(b):
+                if x not in set(a):
+                    yield "+", x
+
+    spark.udtf.register("split_response", SplitResponse)
+    spark.udtf.register("patch_diff", PatchDiff)
+
+
+@query("udtf_split_response", "SELECT conv_id, turn, 'think' AS part, md5('t' || turn) AS h FROM conversations UNION ALL SELECT conv_id, turn, 'answer', md5(text) FROM conversations")
+def udtf_split_response(s, d):
+    register_table_functions(s)
+    load(s, d, "conversations").withColumn("whole", F.concat(F.lit("<think>t"), F.col("turn").cast("string"), F.lit("</think>"), "text")).createOrReplaceTempView("whole_responses")
+    return s.sql("SELECT conv_id, turn, part, md5(body) AS h FROM whole_responses, LATERAL split_response(whole)")
+
+
+_PATCH = "WITH x AS (SELECT doc_id // 2 AS pair_id, doc_id % 2 AS s, string_split(coalesce(text, ''), chr(10)) AS l FROM documents), p AS (SELECT a.pair_id, a.l AS a, b.l AS b FROM x a JOIN x b ON a.pair_id = b.pair_id AND a.s = 0 AND b.s = 1)"
+
+
+@query("patch_diff_lines", f"{_PATCH} SELECT pair_id, '-' AS sign, unnest(list_distinct(list_filter(a, lambda v: NOT list_contains(b, v)))) AS line FROM p UNION ALL SELECT pair_id, '+', unnest(list_distinct(list_filter(b, lambda v: NOT list_contains(a, v)))) FROM p")
+def patch_diff_lines(s, d):
+    """Lines that only one side of a pair (neighbouring documents) has, by the table function."""
+    register_table_functions(s)
+    x = load(s, d, "documents", "doc_id", "text").select(F.floor(F.col("doc_id") / 2).alias("pair_id"), (F.col("doc_id") % 2).alias("s"), "text")
+    side = lambda k, name: x.filter(F.col("s") == k).select("pair_id", F.col("text").alias(name))
+    side(0, "before").join(side(1, "after"), "pair_id").createOrReplaceTempView("text_pairs")
+    return s.sql("SELECT pair_id, sign, line FROM text_pairs, LATERAL patch_diff(before, after)")
+
+
 @query("sink_roundtrip_parquet", "SELECT o_orderkey, o_orderstatus FROM orders")
 def sink_roundtrip_parquet(s, d):
     path = T.shared_path(s, "parquet")

@@ -100,5 +100,5 @@ def test_as_of_rows_of_every_user(spark):
             latest[r.user_id] = r.event_id
         want.add((r.event_id, latest.get(r.user_id)))
     assert max(r.user_id for r in events) > 30
-    got = registry.QUERIES["asof_checkpoint_all"](spark, sf).collect()
+    got = registry.QUERIES["asof_checkpoint"](spark, sf).collect()
     assert len(got) == len(events) and {tuple(r) for r in got} == want
