@@ -16,8 +16,3 @@ def query(name: str, sql: str | None = None):
         return f
 
     return put
-
-
-from pairlab.operators import workloads  # noqa: E402, F401  fills the registry
-from pairlab.operators import workloads_data, workloads_general, workloads_judges, workloads_policy, workloads_rl  # noqa: E402, F401
-from pairlab.streaming import workloads as _streams  # noqa: E402, F401

@@ -10,19 +10,21 @@ from pairlab.registry import query
 from pairlab.sources.tables import shared_path
 
 
-def stream(spark, d: str) -> DataFrame:
-    """events as a stream, event time as timestamp (UTC session)."""
-    path = f"{d}/events.parquet"
+def stream(spark, d: str, files_a_batch: int = 0) -> DataFrame:
+    """events as a stream, event time as timestamp (UTC session); d holds events.parquet or several files events*.parquet."""
+    path = f"{d}/events*.parquet"
     schema = spark.read.parquet(path).schema
+    options = {"maxFilesPerTrigger": files_a_batch} if files_a_batch else {}
     # a file source wants a folder
-    raw = spark.readStream.schema(schema).option("pathGlobFilter", "*.parquet").parquet(d + "/events*.parquet")
+    raw = spark.readStream.schema(schema).option("pathGlobFilter", "*.parquet").options(**options).parquet(path)
     return raw.withColumn("time", F.col("ts").cast("timestamp")).withWatermark("time", "10 minutes")
 
 
-def drain(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Runs a stream over all that is there and returns what it wrote, from the shared folder."""
+def drain(df: DataFrame, name: str, mode: str = "append", path: str | None = None) -> DataFrame:
+    """Runs a stream over all that is there and returns what it wrote, from the shared folder. With the path of an earlier run it
+    goes on from that run's checkpoint; a batch that is repeated overwrites its own files."""
     spark = df.sparkSession
-    path = shared_path(spark, name)
+    path = path or shared_path(spark, name)
 
     def put(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{path}/data/batch={number}")
@@ -31,7 +33,14 @@ def drain(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
     q.awaitTermination()
     if q.exception():
         raise q.exception()
-    return spark.read.schema(df.schema).parquet(f"{path}/data/*")
+    out = spark.read.schema(df.schema).parquet(f"{path}/data/*")
+    out.late_rows = sum(int(s["numRowsDroppedByWatermark"]) for p in q.recentProgress for s in p["stateOperators"])
+    return out
+
+
+def with_late_rows(out: DataFrame) -> DataFrame:
+    """The result of a drained stream with n_late, the rows that came behind the watermark and count in no window."""
+    return out.withColumn("n_late", F.lit(getattr(out, "late_rows", 0)).cast("long"))
 
 
 #: append mode gives what has ended before the watermark
@@ -76,26 +85,46 @@ def stream_join_verdict(spark, d):
 
 @query("stream_group_advantage", f"WITH {EV}, g AS (SELECT query_id, iteration, avg(reward) AS m, stddev_pop(reward) AS s, min(reward) = max(reward) AS dead FROM ev GROUP BY ALL HAVING count(*) = 8) SELECT query_id, CAST(iteration AS BIGINT) AS iteration, event_id, round(CASE WHEN dead THEN 0 ELSE (reward - m) / s END, 6) AS advantage FROM ev JOIN g USING (query_id, iteration)")
 def stream_group_advantage(spark, d):
-    """Advantages of each user's events in eights, emitted when a group is complete; the state holds seven rewards at most."""
+    out = drain(group_advantages(stream(spark, d), None), "advantage")
+    return out.select("query_id", "iteration", "event_id", "advantage")
+
+
+def group_advantages(events: DataFrame, wait: str | None) -> DataFrame:
+    """Advantages of each user's events in eights, emitted when a group is complete; the state holds seven rewards at most.
+
+    With wait (a number of milliseconds of event time), a group that has not filled up that long after its last event is emitted with
+    what it has, incomplete = true, and the next event begins a new one."""
     import pandas as pd
     from pyspark.sql.streaming.state import GroupStateTimeout
 
+    def group(key, done, ids, rewards, incomplete):
+        s = pd.Series(rewards)
+        dead = s.min() == s.max()
+        a = [0.0] * len(ids) if dead else list((s - s.mean()) / s.std(ddof=0))
+        return pd.DataFrame({"query_id": key[0], "iteration": done, "event_id": ids, "advantage": [round(x, 6) for x in a], "incomplete": incomplete})
+
     def step(key, frames, state):
         ids, rewards, done = state.get if state.exists else ([], [], 0)
         ids, rewards = list(ids), list(rewards)
-        rows = pd.concat(list(frames)).sort_values(["time", "event_id"])
         out = []
-        for event, kind in zip(rows["event_id"], rows["event_type"]):
-            ids.append(int(event))
-            rewards.append(1.0 if kind in ("purchase", "signup") else -1.0)
-            if len(ids) == 8:
-                s = pd.Series(rewards)
-                dead = s.min() == s.max()
-                a = [0.0] * 8 if dead else list((s - s.mean()) / s.std(ddof=0))
-                out.append(pd.DataFrame({"query_id": key[0], "iteration": done, "event_id": ids, "advantage": [round(x, 6) for x in a]}))
-                ids, rewards, done = [], [], done + 1
+        if state.hasTimedOut:
+            if ids:
+                out.append(group(key, done, ids, rewards, True))
+            ids, rewards, done = [], [], done + bool(ids)
+        else:
+            rows = pd.concat(list(frames)).sort_values(["time", "event_id"])
+            for event, kind in zip(rows["event_id"], rows["event_type"]):
+                ids.append(int(event))
+                rewards.append(1.0 if kind in ("purchase", "signup") else -1.0)
+                if len(ids) == 8:
+                    out.append(group(key, done, ids, rewards, False))
+                    ids, rewards, done = [], [], done + 1
+            if wait and ids:
+                last = int(rows["time"].max().timestamp() * 1000)
+                state.setTimeoutTimestamp(max(last, state.getCurrentWatermarkMs()) + int(wait))
         state.update((ids, rewards, done))
-        yield pd.concat(out) if out else pd.DataFrame({"query_id": [], "iteration": [], "event_id": [], "advantage": []})
+        yield pd.concat(out) if out else pd.DataFrame({"query_id": [], "iteration": [], "event_id": [], "advantage": [], "incomplete": []})
 
-    out = stream(spark, d).select("user_id", "event_id", "event_type", "time").groupBy("user_id").applyInPandasWithState(step, "query_id long, iteration long, event_id long, advantage double", "ids array<long>, rewards array<double>, done long", "append", GroupStateTimeout.NoTimeout)
-    return drain(out, "advantage")
+    timeout = GroupStateTimeout.EventTimeTimeout if wait else GroupStateTimeout.NoTimeout
+    schema = "query_id long, iteration long, event_id long, advantage double, incomplete boolean"
+    return events.select("user_id", "event_id", "event_type", "time").groupBy("user_id").applyInPandasWithState(step, schema, "ids array<long>, rewards array<double>, done long", "append", timeout)

@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from conftest import SF
-from pairlab import registry
+from pairlab import catalogue as registry
 from pairlab.functions.scores import log_odds, log_sigmoid
 from pairlab.operators import curate, pairwise, rl
 from pairlab.operators.workloads_policy import without_thoughts

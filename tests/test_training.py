@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 
 from conftest import SF
-from pairlab import registry
+from pairlab import catalogue as registry
 from pairlab.plans import objectives_np as N
 from pairlab.plans import training as T
 
