@@ -167,6 +167,43 @@ def _dealt(bucket: np.ndarray, n: int, *columns: np.ndarray) -> Iterator[tuple]:
         yield (int(k), *(c[edge[k] : edge[k + 1]].tobytes() for c in columns))
 
 
+def _bucket(x: np.ndarray, buckets: int) -> np.ndarray:
+    """By the upper 24 bits."""
+    return ((x >> _U(40)) * _U(buckets) >> _U(24)).astype(np.int64)
+
+
+def _packed(value: np.ndarray, key: np.ndarray, buckets: int) -> Iterator[tuple]:
+    """By bucket of the values: bucket, their lower 40 bits (four bytes and one), the distinct keys, and each value's place in these
+    (two bytes, or four beyond 65,536 keys)."""
+    bucket = _bucket(value, buckets)
+    order = np.argsort(bucket, kind="stable")
+    edge = np.searchsorted(bucket[order], np.arange(buckets + 1))
+    value, key = value[order], key[order]
+    for k in np.flatnonzero(np.diff(edge)):
+        v = value[edge[k] : edge[k + 1]]
+        keys, place = np.unique(key[edge[k] : edge[k + 1]], return_inverse=True)
+        yield int(k), v.astype(np.uint32).tobytes(), (v >> _U(32)).astype(np.uint8).tobytes(), keys.tobytes(), place.astype(np.uint16 if len(keys) <= 65_536 else np.uint32).tobytes()
+
+
+_PACKED = ("bucket", "low", "high", "keys", "place")
+
+
+def _unpacked(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """Values and keys of the packed rows of one bucket."""
+    values, keys = [np.zeros(0, _U)], [np.zeros(0, _U)]
+    for low, high, k, place in zip(*(table.column(c).to_pylist() for c in _PACKED[1:])):
+        if low:
+            value = np.frombuffer(low, np.uint32).astype(_U) | (np.frombuffer(high, np.uint8).astype(_U) << _U(32))
+            values.append(value)
+            keys.append(np.frombuffer(k, _U)[np.frombuffer(place, np.uint16 if len(place) == 2 * len(value) else np.uint32)])
+    return np.concatenate(values), np.concatenate(keys)
+
+
+def _record(rows: list[tuple], names: tuple) -> pa.RecordBatch:
+    cols = list(zip(*rows))
+    return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:])], names=list(names))
+
+
 def _sizes(shingle: int):
     def run(batches):
         for batch in batches:
@@ -195,12 +232,10 @@ def _sent_signatures(shingle: int, percent: int, buckets: int):
                 sig, of = signatures(grams, first, percent)
                 one, key, more = _once(sig, keys[of])
                 met = np.unique(keys[of][more[np.searchsorted(one, sig)]]) if len(sig) else np.zeros(0, _U)
-                at = lambda x: ((x >> _U(40)) * _U(buckets) >> _U(24)).astype(np.int64)
-                rows = [(k, low, high, key_bytes, b"") for k, low, high, key_bytes in _dealt(at(one), buckets, one.astype(np.uint32), (one >> _U(32)).astype(np.uint16), key)]
-                rows += [(k, b"", b"", b"", m) for k, m in _dealt(at(met), buckets, met)]
+                rows = [(*row, b"") for row in _packed(one, key, buckets)]
+                rows += [(k, b"", b"", b"", b"", m) for k, m in _dealt(_bucket(met, buckets), buckets, met)]
                 if rows:
-                    cols = list(zip(*rows))
-                    yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:])], names=["bucket", "low", "high", "keys", "met"])
+                    yield _record(rows, (*_PACKED, "met"))
 
     return run
 
@@ -210,9 +245,8 @@ def _joined(table: pa.Table, column: str, kind) -> np.ndarray:
 
 
 def _shared(key, table):
-    """Candidates of one bucket. The 48 bits and the bucket may take two signatures for one, which only adds candidates."""
-    sig = _joined(table, "low", np.uint32).astype(_U) | (_joined(table, "high", np.uint16).astype(_U) << _U(32))
-    keys = _joined(table, "keys", _U)
+    """Candidates of one bucket. The 40 bits and the bucket may take two signatures for one, which only adds candidates."""
+    sig, keys = _unpacked(table)
     order = np.argsort(sig, kind="stable")
     sig, keys = sig[order], keys[order]
     edge = sig[1:] == sig[:-1]
@@ -238,17 +272,16 @@ def _sent_elements(shingle: int, buckets: int):
                 part = (tb.mix(grams) % _U(5)) < _U(2)
                 one, key, more = _once(grams[part], of[part])
                 key = np.where(more, _U(0), key)
-                rows = list(_dealt(((one >> _U(40)) * _U(buckets) >> _U(24)).astype(np.int64), buckets, one, key))
+                rows = list(_packed(one, key, buckets))
                 if rows:
-                    cols = list(zip(*rows))
-                    yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:])], names=["bucket", "elements", "keys"])
+                    yield _record(rows, _PACKED)
 
     return run
 
 
 def _alone(key, table):
-    """Of one bucket: classes and how many elements only they have."""
-    one, of, more = _once(_joined(table, "elements", _U), _joined(table, "keys", _U))
+    """Of one bucket: classes and how many elements only they have; two elements taken for one only keep a candidate more."""
+    one, of, more = _once(*_unpacked(table))
     owner, n = np.unique(of[~more & (of != 0)], return_counts=True)
     return pa.table({"key": owner.view(np.int64), "u": n})
 
@@ -416,16 +449,16 @@ def _possible(docs: DataFrame, percent: int, shingle: int, block: int, heavy: in
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("rid", F.xxhash64("doc_id", "text"))
     narrow = materialize(docs.mapInArrow(_sizes(shingle), "rid long, doc_id long, n long, key long"), "sizes")
     total = narrow.agg(F.sum("n")).first()[0] or 0
-    buckets = max(256, total // 1_000_000 + 1)
+    buckets = max(64, total // 2_500_000 + 1)
     classes = materialize(narrow.filter("n > 0").groupBy("key").agg(F.min("rid").alias("rid"), F.max("n").alias("n"), F.min("doc_id").alias("least")), "classes")
 
-    sent = docs.select("text").mapInArrow(_sent_signatures(shingle, percent, buckets), "bucket int, low binary, high binary, keys binary, met binary")
+    sent = docs.select("text").mapInArrow(_sent_signatures(shingle, percent, buckets), "bucket int, low binary, high binary, keys binary, place binary, met binary")
     candidates = materialize(sent.groupBy("bucket").applyInArrow(_shared, "key long").distinct(), "candidates")
     chosen = classes.join(candidates, "key", "left_semi")
     blocks = max(partitions, total // 16_000_000 + 1)
     texts = materialize(_pick(docs, chosen.select("rid"), blocks), "texts", codec="zstd")
 
-    alone = texts.select("text").mapInArrow(_sent_elements(shingle, buckets), "bucket int, elements binary, keys binary").groupBy("bucket").applyInArrow(_alone, "key long, u long")
+    alone = texts.select("text").mapInArrow(_sent_elements(shingle, buckets), "bucket int, low binary, high binary, keys binary, place binary").groupBy("bucket").applyInArrow(_alone, "key long, u long")
     alone = alone.groupBy("key").agg(F.sum("u").alias("u"))
     left = chosen.join(alone, "key", "left").filter(100 * F.coalesce("u", F.lit(0)) <= (100 - percent) * F.col("n"))
     left = materialize(left.select("rid", "key"), "possible")
