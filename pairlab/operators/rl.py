@@ -15,18 +15,20 @@ def filter_extremes(rates: DataFrame, lo: int = 0, hi: int = 8, enabled: bool =
 
 
 def global_rank(df: DataFrame, *order: Column, name: str = "rank") -> DataFrame:
-    """Dense 0-based places in a total order, without a one-task window: range partitions, their sizes summed
-    on the driver (one number each), and places inside each partition."""
+    """Dense 0-based places in a total order with one shuffle: range partitions, sorted where they lie and written with their places
+    inside; their sizes are summed on the driver (one number each)."""
     parts = max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    ranged = df.repartitionByRange(parts, *order).withColumn("__p", F.spark_partition_id())
-    ranged = saved(ranged, "ranged")  # so that partition numbers stay what was counted
-    sizes = {r["__p"]: r["n"] for r in ranged.groupBy("__p").agg(F.count("*").alias("n")).collect()}
+    ranged = df.repartitionByRange(parts, *order).sortWithinPartitions(*order)
+    # the id holds the partition above 33 bits of the row's place in it; written, so that it stays what was counted
+    ranged = saved(ranged.withColumn("__m", F.monotonically_increasing_id()), "ranged")
+    part = F.shiftright("__m", 33).cast("int")
+    sizes = {r["p"]: r["n"] for r in ranged.groupBy(part.alias("p")).agg(F.count("*").alias("n")).collect()}
     start, at = {}, 0
     for p in sorted(sizes):
         start[p], at = at, at + sizes[p]
     offset = df.sparkSession.createDataFrame([(p, v) for p, v in start.items()], "__p int, __o long")
-    inside = F.row_number().over(W.partitionBy("__p").orderBy(*order)) - 1
-    return ranged.withColumn(name, inside.cast("long")).join(F.broadcast(offset), "__p").withColumn(name, F.col(name) + F.col("__o")).drop("__p", "__o")
+    inside = F.col("__m").bitwiseAND(F.lit((1 << 33) - 1))
+    return ranged.withColumn("__p", part).join(F.broadcast(offset), "__p").withColumn(name, inside + F.col("__o")).drop("__p", "__o", "__m")
 
 
 def _hash(seed: int, key: str) -> Column:
