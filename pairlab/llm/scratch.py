@@ -8,6 +8,8 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 _own: dict[str, str] = {}
+#: A session setting of Spark that may change at any time: remove an execution's shuffle files when it ends.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -21,11 +23,18 @@ def shared_dir(spark: SparkSession) -> str:
 def materialize(df: DataFrame, name: str, partition_by: tuple[str, ...] = (), codec: str = "snappy") -> DataFrame:
     """Write df once as Parquet under a fresh name and read it back; cuts the lineage.
 
-    A lost executor costs only its running tasks, since the files are in shared storage.
+    A lost executor costs only its running tasks, since the files are in shared storage.  The shuffles behind the table are
+    removed as soon as it is written: nothing reads them again.
     """
-    path = f"{shared_dir(df.sparkSession)}/pairlab-llm/{name}-{uuid.uuid4().hex}"
-    df.write.partitionBy(*partition_by).option("compression", codec).parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    spark = df.sparkSession
+    path = f"{shared_dir(spark)}/pairlab-llm/{name}-{uuid.uuid4().hex}"
+    before = spark.conf.get(CLEANUP)
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.write.partitionBy(*partition_by).option("compression", codec).parquet(path)
+    finally:
+        spark.conf.set(CLEANUP, before)
+    return spark.read.schema(df.schema).parquet(path)
 
 
 def documents(spark: SparkSession, sf_dir: str, *columns: str) -> DataFrame:
