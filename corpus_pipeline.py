@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from pairlab.llm import mixing, partenum, secrets, toxicity, unigram
 from pairlab.llm.scratch import materialize
 
-#: SQL expresses neither the trained models nor the encoder; a test holds each stage against its operator.
+#: SQL expresses neither the trained models nor the encoder; the operators behind the stages are tested, the stages themselves only by a test that is skipped.
 ORACLE_SQL = None
 
 
