@@ -12,9 +12,9 @@ so the join stays exact.
 2. Signatures of all classes travel in packed blocks (texts of candidates, later, in compressed ones); classes that share one are candidates.  Within a block
    of texts a signature is sent once, so a hot one costs a row a block.
 3. Of the candidates, those go on that share so many shingles with other candidates that a link is possible.
-4. Candidates that share a signature are linked to clusters; in a cluster, blocks of sets meet blocks of
-   sets.  Bit parities of two sets bound their difference from below; what passes is counted exactly.  Each
-   block pair returns a spanning forest of its links, never all pairs.
+4. The sets that share a signature are a group.  Bit parities of two sets bound their difference from below; a pair
+   that passes is counted exactly, and only then are elements sent.  A group's sets meet one of them, its hub; then the
+   nearest of those that no link has joined; then all that are still apart, in blocks.  Pairs joined already are never compared.
 
 Sets are told apart by 64-bit hashes, of which one pair in 10^18 collides at 10^9 sets' scale or so.
 
@@ -367,83 +367,181 @@ def _class_signatures(percent: int):
     return run
 
 
-def links(sets: list[np.ndarray], side: np.ndarray, percent: int = 80, bits: int = 1024, every: bool = False) -> list[tuple[int, int]]:
-    """Spanning forest of the links between sets (sorted hashes), or all links. Where side holds two values, only links between both count."""
-    m = len(sets)
-    size = np.array([len(s) for s in sets])
-    sketch = np.zeros((m, bits), np.uint8)
-    for k, s in enumerate(sets):
-        sketch[k] = np.bincount((tb.mix(s) % _U(bits)).astype(np.int64), minlength=bits) & 1
-    sketch = np.packbits(sketch, axis=1).view(_U)
-    parent = np.arange(m)
+def _sketched(batches):
+    """key, size and sketch of each set: bit parities of its elements, two to four bits an element, 512 at least. Halves of a sketch
+    fold by xor to one of half the length."""
+    for batch in batches:
+        sizes, sketches = [], []
+        for x in batch.column("elements").to_pylist():
+            s = np.frombuffer(x, _U)
+            bits = max(512, 1 << (2 * len(s) - 1).bit_length())
+            sizes.append(len(s))
+            sketches.append(np.packbits((np.bincount((tb.mix(s) % _U(bits)).astype(np.int64), minlength=bits) & 1).astype(np.uint8)).tobytes())
+        yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(sizes, pa.int64()), pa.array(sketches, pa.binary())], names=["key", "n", "sketch"])
+
+
+def _stacked(sketches: list[bytes], length: int) -> np.ndarray:
+    """Sketches of length bytes, or of twice as many and folded, as rows."""
+    rows = np.frombuffer(b"".join(sketches), _U).reshape(len(sketches), -1, length // 8)
+    return np.bitwise_xor.reduce(rows, axis=1)
+
+
+def _near(percent: int):
+    """Of pairs with sizes and sketches those that may link."""
+
+    def run(batches):
+        for batch in batches:
+            na, nb = batch.column("na").to_numpy(), batch.column("nb").to_numpy()
+            sa, sb = batch.column("sa").to_pylist(), batch.column("sb").to_pylist()
+            la, lb = np.array([len(x) for x in sa], np.int64), np.array([len(x) for x in sb], np.int64)
+            fine = np.zeros(len(na), bool)
+            for x, y in {*zip(la.tolist(), lb.tolist())}:
+                at = np.flatnonzero((la == x) & (lb == y))
+                one, two = (_stacked([s[k] for k in at.tolist()], min(x, y)) for s in (sa, sb))
+                fine[at] = np.bitwise_count(one ^ two).sum(1, dtype=np.int64) * (100 + percent) <= (na[at] + nb[at]) * (100 - percent)
+            keep = pa.array(fine)
+            yield pa.RecordBatch.from_arrays([batch.column(c).filter(keep) for c in ("a", "b", "na", "nb")], names=["a", "b", "na", "nb"])
+
+    return run
+
+
+def close_pairs(size: np.ndarray, sketch: list[bytes], part: np.ndarray, side: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Places and distances of the pairs of two parts that may link. Where side holds two values, only pairs between both count."""
+    length = np.array([len(x) for x in sketch], np.int64)
+    both = len(np.unique(side)) > 1
+    out = [(np.zeros(0, np.int64),) * 3]
+    for at in np.unique(length).tolist():
+        own = np.flatnonzero(length == at)
+        ids = np.concatenate([own, np.flatnonzero(length == 2 * at)])  # sets of more than twice the size never link
+        rows = np.concatenate([_stacked([sketch[k] for k in x.tolist()], at) for x in (own, ids[len(own) :]) if len(x)])
+        for k, i in enumerate(own.tolist()):
+            j = np.arange(k + 1, len(ids))
+            to = ids[j]
+            fine = (part[to] != part[i]) & (100 * np.minimum(size[to], size[i]) >= percent * np.maximum(size[to], size[i]))
+            j = j[fine & (side[to] != side[i])] if both else j[fine]
+            differ = np.bitwise_count(rows[j] ^ rows[k]).sum(1, dtype=np.int64)
+            fine = differ * (100 + percent) <= (size[ids[j]] + size[i]) * (100 - percent)
+            out.append((np.full(int(fine.sum()), i), ids[j[fine]], differ[fine]))
+    return tuple(np.concatenate(x) for x in zip(*out))
+
+
+def _forest(a: np.ndarray, b: np.ndarray, differ: np.ndarray, part: np.ndarray) -> np.ndarray:
+    """The nearest pairs that would join all parts that any of the pairs joins."""
+    parent: dict[int, int] = {}
 
     def root(x: int) -> int:
-        while parent[x] != x:
-            parent[x] = parent[parent[x]]
-            x = parent[x]
+        while (up := parent.get(x, x)) != x:
+            parent[x] = parent.get(up, up)
+            x = up
         return x
 
-    both = len(np.unique(side)) > 1
-    out = []
-    for i in range(m - 1):
-        j = np.arange(i + 1, m)
-        if both:
-            j = j[side[j] != side[i]]
-        small, large = np.minimum(size[j], size[i]), np.maximum(size[j], size[i])
-        j = j[100 * small >= percent * large]
-        if not len(j):
-            continue
-        differ = np.bitwise_count(sketch[j] ^ sketch[i]).sum(1)
-        fine = differ * (100 + percent) <= (size[j] + size[i]) * (100 - percent)
-        j, differ = j[fine], differ[fine].astype(np.int64)
-        j = j[np.argsort(differ, kind="stable")]
-        while len(j):
-            if every:
-                for x in j.tolist():
-                    c = int(np.isin(sets[x], sets[i], assume_unique=True).sum())
-                    if 100 * c >= percent * (int(size[i]) + int(size[x]) - c):
-                        out.append((i, x))
-                break
-            mine = root(i)
-            roots = np.array([root(int(x)) for x in j])
-            j, roots = j[roots != mine], roots[roots != mine]
-            if not len(j):
+    out, left = [], len(np.unique(part)) - 1
+    for k in np.argsort(differ, kind="stable").tolist():
+        x, y = root(int(part[a[k]])), root(int(part[b[k]]))
+        if x != y:
+            parent[x] = y
+            out.append(k)
+            if len(out) == left:
                 break
-            _, at = np.unique(roots, return_index=True)  # the nearest of each component
-            now = j[at]
-            flat = np.concatenate([sets[x] for x in now])
-            place = np.minimum(np.searchsorted(sets[i], flat), size[i] - 1)
-            both_have = np.add.reduceat((sets[i][place] == flat).astype(np.int64), np.cumsum(size[now]) - size[now])
-            for x, c in zip(now.tolist(), both_have.tolist()):
-                if 100 * c >= percent * (int(size[i]) + int(size[x]) - c):
-                    parent[root(x)] = root(i)
-                    out.append((i, x))
-            rest = np.ones(len(j), bool)
-            rest[at] = False
-            j = j[rest]
-    return out
-
-
-def _verified(percent: int, every: bool = False):
+    return np.array(out, np.int64)
+
+
+def _met(percent: int, forest: bool):
+    """Of the groups of one task: pairs of two parts that may link, or a spanning forest of these."""
+
     def run(key, table):
-        table = table.sort_by([("cluster", "ascending"), ("key", "ascending")])
-        cluster, keys, side = (table.column(c).to_numpy() for c in ("cluster", "key", "side"))
-        elements = table.column("elements").combine_chunks() if table.num_rows else []
-        edges = np.flatnonzero(np.concatenate([[True], cluster[1:] != cluster[:-1], [True]])) if len(cluster) else []
-        a, b = [], []
+        table = table.sort_by([("sig", "ascending"), ("key", "ascending")])
+        sig, keys, size, part, side = (table.column(c).to_numpy() for c in ("sig", "key", "n", "part", "side"))
+        sketch = table.column("sketch").to_pylist()
+        edges = np.flatnonzero(np.concatenate([[True], sig[1:] != sig[:-1], [True]])) if len(sig) else []
+        found = [np.zeros((4, 0), np.int64)]
         for x, y in zip(edges, edges[1:]):
-            sets = [np.frombuffer(elements[k].as_py(), _U) for k in range(x, y)]
-            for i, j in links(sets, side[x:y], percent, every=every):
-                a.append(int(keys[x + i]))
-                b.append(int(keys[x + j]))
+            i, j, differ = close_pairs(size[x:y], sketch[x:y], part[x:y], side[x:y], percent)
+            if forest:
+                some = _forest(i, j, differ, part[x:y])
+                i, j = i[some], j[some]
+            low, high = np.where(keys[x + i] < keys[x + j], x + i, x + j), np.where(keys[x + i] < keys[x + j], x + j, x + i)
+            found.append(np.stack([keys[low], keys[high], size[low], size[high]]))
+        return pa.table(dict(zip(("a", "b", "na", "nb"), np.unique(np.concatenate(found, axis=1), axis=1))))
+
+    return run
+
+
+def _verified(percent: int):
+    """Of the pairs of one task (key, other) those that link; the elements of all their sets are here (key, elements)."""
+
+    def run(key, table):
+        keys, other, elements = table.column("key").to_numpy(), table.column("other"), table.column("elements")
+        pair = other.is_valid().to_numpy()
+        sets = {int(keys[k]): np.frombuffer(elements[k].as_py(), _U) for k in np.flatnonzero(~pair).tolist()}
+        a, b = [], []
+        for x, y in zip(keys[pair].tolist(), other.drop_null().to_pylist()):
+            one, two = sets[x], sets[y]
+            c = int((one[np.minimum(np.searchsorted(one, two), len(one) - 1)] == two).sum())
+            if 100 * c >= percent * (len(one) + len(two) - c):
+                a.append(x)
+                b.append(y)
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
     return run
 
 
-def _possible(docs: DataFrame, percent: int, shingle: int, block: int, heavy: int = 4_000_000) -> tuple[DataFrame, ...]:
+def _exact(pairs: DataFrame, sets: DataFrame, percent: int, heavy: int) -> DataFrame:
+    """The pairs (a, b, sizes na and nb) that link. A set is sent once to each task that has a pair of it; a task takes pairs of about
+    heavy elements."""
+    spark = pairs.sparkSession
+    load = pairs.groupBy("a").agg((F.sum("nb") + F.max("na")).alias("w"))
+    total = load.agg(F.sum("w")).first()[0] or 0
+    tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), total // heavy + 1)
+    parts = load.select("a", F.ceil(F.col("w") / heavy).alias("g"))
+    place = F.when(F.col("g") == 1, -F.pmod(F.xxhash64("a"), F.lit(tasks)) - 1).otherwise(F.abs(F.xxhash64("a", F.pmod(F.xxhash64("b"), F.col("g")))))
+    dealt = materialize(pairs.join(parts, "a").select("a", "b", place.alias("task")), "dealt")
+    ends = dealt.select("task", F.col("a").alias("key")).union(dealt.select("task", F.col("b").alias("key"))).distinct()
+    rows = ends.join(sets, "key").select("task", "key", "elements", F.lit(None).cast("long").alias("other"))
+    rows = rows.union(dealt.select("task", F.col("a").alias("key"), F.lit(None).cast("binary").alias("elements"), F.col("b").alias("other")))
+    return materialize(rows.groupBy("task").applyInArrow(_verified(percent), "a long, b long"), "verified")
+
+
+def _meeting(members: DataFrame, sketches: DataFrame, percent: int, block: int, forest: bool) -> DataFrame:
+    """Pairs (a < b, sizes na and nb) of two parts that share a group and may link; blocks of a large group meet in tasks of their own."""
+    sizes = members.groupBy("sig").agg(F.count("*").alias("m"), F.min("part").alias("low"), F.max("part").alias("high")).filter("low < high").select("sig", F.ceil(F.col("m") / block).cast("int").alias("g"))
+    rows = materialize(members.select("sig", "key", "part").join(sizes, "sig"), "open")
+    tasks = max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), rows.count() // 20_000 + 1)
+    rows = rows.withColumn("i", F.pmod(F.xxhash64("key"), F.col("g")).cast("int")).withColumn("j", F.explode(F.sequence(F.lit(0), F.col("g") - 1)))
+    task = F.when(F.col("g") == 1, -F.pmod(F.xxhash64("sig"), F.lit(tasks)) - 1).otherwise(F.abs(F.xxhash64("sig", F.least("i", "j"), F.greatest("i", "j"))))
+    rows = rows.select("sig", "key", "part", F.col("i").alias("side"), task.alias("task")).join(sketches, "key")
+    return rows.groupBy("task").applyInArrow(_met(percent, forest), "a long, b long, na long, nb long").distinct()
+
+
+def _links(sets: DataFrame, members: DataFrame, percent: int, block: int, heavy: int = 4_000_000, every: bool = False) -> DataFrame:
+    """Links (a, b) between sets that connect all that link, or all links. Members (sig, hub, key) are the groups of sets of one signature.
+
+    A group's sets meet its hub first, then the nearest of those that no link has joined yet, and last whatever
+    is not joined; pairs that were refused once are not sent again."""
+    sketches = materialize(sets.mapInArrow(_sketched, "key long, n long, sketch binary"), "sketches")
+    if every:
+        pairs = _meeting(members.withColumn("part", F.col("key")), sketches, percent, block, False)
+        return _exact(materialize(pairs, "pairs_all"), sets, percent, heavy)
+    named = lambda x: sketches.select(F.col("key").alias(x), F.col("n").alias(f"n{x}"), F.col("sketch").alias(f"s{x}"))
+    star = members.filter("key <> hub").select(F.col("hub").alias("a"), F.col("key").alias("b")).distinct()
+    star = star.join(named("b"), "b").join(named("a"), "a").filter(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
+    tried = materialize(star.mapInArrow(_near(percent), "a long, b long, na long, nb long"), "pairs_hub")
+    found = _exact(tried, sets, percent, heavy)
+    rest = members.filter("key <> hub").select("sig", "key")
+    for forest in (True, False):
+        joined = connected_components(found).select(F.col("node").alias("key"), F.col("component").alias("part"))
+        parts = rest.join(joined, "key", "left").withColumn("part", F.coalesce("part", "key"))
+        pairs = _meeting(parts, sketches, percent, block, forest).join(tried.select("a", "b"), ["a", "b"], "left_anti")
+        pairs = materialize(pairs, "pairs_near" if forest else "pairs_left")
+        if not pairs.isEmpty():
+            found = found.union(_exact(pairs, sets, percent, heavy))
+            tried = tried.union(pairs)
+    return found
+
+
+def _possible(docs: DataFrame, percent: int, shingle: int) -> tuple[DataFrame, ...]:
     """Every row (rid, doc_id, n, key); classes of equal sets (key, rid, n, least id); elements of the sets that may link; and
-    their places: the tasks in which a set meets others, and the side it is on. A block holds block sets or heavy elements."""
+    their groups (sig, hub, key): the sets that share a signature, and the one with the smallest key."""
     spark = docs.sparkSession
     partitions = int(spark.conf.get("spark.sql.shuffle.partitions"))
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("rid", F.xxhash64("doc_id", "text"))
@@ -466,26 +564,16 @@ def _possible(docs: DataFrame, percent: int, shingle: int, block: int, heavy: in
     sets = materialize(sets, "sets")
 
     signs = materialize(sets.mapInArrow(_class_signatures(percent), "sig long, key long"), "signs")
-    hubs = signs.groupBy("sig").agg(F.min("key").alias("b"), F.max("key").alias("most")).filter("most > b").select("sig", "b")
-    clusters = materialize(connected_components(signs.join(hubs, "sig").select(F.col("key").alias("a"), "b")).withColumnRenamed("node", "key"), "clusters")
-    sizes = clusters.join(sets.select("key", (F.length("elements") / 8).cast("long").alias("n")), "key")
-    sizes = materialize(sizes.groupBy(F.col("component").alias("cluster")).agg(F.count("*").alias("m"), F.sum("n").alias("n")), "cluster_sizes")
-    every = sizes.agg(F.coalesce(F.sum("m"), F.lit(0)).alias("m"), F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()
-    tasks = max(partitions, every["m"] // 500 + 1, every["n"] // heavy + 1)
-    parts = F.greatest(F.ceil(F.col("m") / block), F.ceil(F.col("n") / heavy)).cast("int")
-    placed = clusters.withColumnRenamed("component", "cluster").join(sizes, "cluster").select("key", "cluster", parts.alias("g"))
-    placed = placed.withColumn("i", F.pmod(F.xxhash64("key"), F.col("g")).cast("int"))
-    placed = placed.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("g") - 1)))
-    placed = placed.select("key", "cluster", F.col("i").alias("side"), F.when(F.col("g") == 1, -F.pmod(F.xxhash64("cluster"), F.lit(tasks)) - 1).otherwise(F.abs(F.xxhash64("cluster", F.least("i", "j"), F.greatest("i", "j")))).alias("task"))
-    placed = materialize(placed, "placed")
-    return narrow, classes, sets, placed
+    groups = signs.groupBy("sig").agg(F.count("*").alias("m"), F.min("key").alias("hub"), F.bit_xor(F.xxhash64("key")).alias("same")).filter("m > 1")
+    groups = groups.groupBy("m", "hub", "same").agg(F.min("sig").alias("sig")).select("sig", "hub")  # signatures of the same sets are one group
+    members = materialize(signs.join(groups, "sig").select("sig", "hub", "key"), "members")
+    return narrow, classes, sets, members
 
 
 def _grouped(docs: DataFrame, percent: int, shingle: int, block: int) -> DataFrame:
     """rid (hash of id and text), doc_id, n, group (of linked sets), c (its smallest id) of every row."""
-    narrow, classes, sets, placed = _possible(docs, percent, shingle, block)
-    forest = placed.join(sets, "key").groupBy("task").applyInArrow(_verified(percent), "a long, b long")
-    linked = connected_components(forest).withColumnRenamed("node", "key")
+    narrow, classes, sets, members = _possible(docs, percent, shingle)
+    linked = connected_components(_links(sets, members, percent, block)).withColumnRenamed("node", "key")
     linked = materialize(linked.join(classes.select("key", "least"), "key"), "linked")
     least = linked.groupBy("component").agg(F.min("least").alias("c"))
     final = materialize(linked.join(least, "component").select("key", "component", "c"), "labels")
@@ -503,10 +591,10 @@ def linked_classes(docs: DataFrame, percent: int = 80, shingle: int = 5, block:
     """The whole join: pairs of classes of equal sets that link (a < b), none left out; and doc_id, key (class, null without
     words) and n_links of every row, the number of other rows that it links with, those of its own class included.
 
-    Unlike near_duplicates it counts every possible pair of a cluster, so its cost grows with the square of a cluster's classes,
+    Unlike near_duplicates it compares every pair of a group, so its cost grows with the square of a group's classes,
     spread over tasks of block x block."""
-    narrow, classes, sets, placed = _possible(docs, percent, shingle, block)
-    pairs = placed.join(sets, "key").groupBy("task").applyInArrow(_verified(percent, True), "a long, b long")
+    narrow, classes, sets, members = _possible(docs, percent, shingle)
+    pairs = _links(sets, members, percent, block, every=True)
     pairs = materialize(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "pairs")
     sizes = materialize(narrow.filter("n > 0").groupBy("key").agg(F.count("*").alias("m")), "class_sizes")
     both = pairs.select(F.col("a").alias("key"), F.col("b").alias("other")).union(pairs.select(F.col("b"), F.col("a")))
