@@ -189,7 +189,8 @@ def test_packed_values_come_back():
         assert sorted(zip(v, of)) == sorted(zip(value[mine] & np.uint64(2**40 - 1), key[mine]))
 
 
-def test_sets_are_sent_in_proportion(spark, monkeypatch):
+@pytest.mark.parametrize("stage", [False, True])
+def test_sets_are_sent_in_proportion(spark, monkeypatch, stage):
     """Documents that overlap in a chain share signatures without linking; each set once went to as many tasks as the chain had blocks."""
     docs = spark.createDataFrame([(k, " ".join(f"w{x}" for x in range(35 * k, 35 * k + 100))) for k in range(300)] + [(900 + k, " ".join(f"w{x}" for x in range(35 * k, 35 * k + 99))) for k in range(3)], "doc_id long, text string")
     sent, plain = spark.sparkContext.accumulator(0), partenum._verified
@@ -204,8 +205,11 @@ def test_sets_are_sent_in_proportion(spark, monkeypatch):
         return both
 
     monkeypatch.setattr(partenum, "_verified", counted)
-    got = {r.doc_id: r.component_id for r in partenum.near_duplicates(docs, block=8).collect()}
-    assert got == {k: k for k in range(300)} | {900: 0, 901: 1, 902: 2}
+    if stage:
+        assert sorted(r.doc_id for r in partenum.keep_one(docs, block=8).collect()) == list(range(300))
+    else:
+        got = {r.doc_id: r.component_id for r in partenum.near_duplicates(docs, block=8).collect()}
+        assert got == {k: k for k in range(300)} | {900: 0, 901: 1, 902: 2}
     assert 6 <= sent.value < 900
 
 
