@@ -12,7 +12,7 @@ so the join stays exact.
 2. Signatures of all classes travel in packed blocks (texts of candidates, later, in compressed ones); classes that share one are candidates.  Within a block
    of texts a signature is sent once, so a hot one costs a row a block.
 3. Of the candidates, those go on that share so many shingles with other candidates that a link is possible.
-4. The sets that share a signature are a group.  Bit parities of two sets bound their difference from below; a pair
+4. The sets that share a signature are a group; groups with the same smallest set become one where that takes no more comparisons.  Bit parities of two sets bound their difference from below; a pair
    that passes is counted exactly, and only then are elements sent.  A group's sets meet one of them, its hub; then the
    nearest of those that no link has joined; then all that are still apart, in blocks.  Pairs joined already are never compared.
 
@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 
 from pairlab.llm import textbatch as tb
 from pairlab.llm.components import connected_components
-from pairlab.llm.scratch import materialize
+from pairlab.llm.scratch import discard, materialize
 
 _U = np.uint64
 
@@ -499,22 +499,24 @@ def _exact(pairs: DataFrame, sets: DataFrame, percent: int, heavy: int) -> DataF
     ends = dealt.select("task", F.col("a").alias("key")).union(dealt.select("task", F.col("b").alias("key"))).distinct()
     rows = ends.join(sets, "key").select("task", "key", "elements", F.lit(None).cast("long").alias("other"))
     rows = rows.union(dealt.select("task", F.col("a").alias("key"), F.lit(None).cast("binary").alias("elements"), F.col("b").alias("other")))
-    return materialize(rows.groupBy("task").applyInArrow(_verified(percent), "a long, b long"), "verified")
+    out = materialize(rows.groupBy("task").applyInArrow(_verified(percent), "a long, b long"), "verified")
+    discard(dealt)
+    return out
 
 
 def _meeting(members: DataFrame, sketches: DataFrame, percent: int, block: int, forest: bool) -> DataFrame:
     """Pairs (a < b, sizes na and nb) of two parts that share a group and may link; blocks of a large group meet in tasks of their own."""
     sizes = members.groupBy("sig").agg(F.count("*").alias("m"), F.min("part").alias("low"), F.max("part").alias("high")).filter("low < high").select("sig", F.ceil(F.col("m") / block).cast("int").alias("g"))
-    rows = materialize(members.select("sig", "key", "part").join(sizes, "sig"), "open")
-    tasks = max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), rows.count() // 20_000 + 1)
-    rows = rows.withColumn("i", F.pmod(F.xxhash64("key"), F.col("g")).cast("int")).withColumn("j", F.explode(F.sequence(F.lit(0), F.col("g") - 1)))
+    opened = materialize(members.select("sig", "key", "part").join(sizes, "sig"), "open")
+    tasks = max(int(opened.sparkSession.conf.get("spark.sql.shuffle.partitions")), opened.count() // 20_000 + 1)
+    rows = opened.withColumn("i", F.pmod(F.xxhash64("key"), F.col("g")).cast("int")).withColumn("j", F.explode(F.sequence(F.lit(0), F.col("g") - 1)))
     task = F.when(F.col("g") == 1, -F.pmod(F.xxhash64("sig"), F.lit(tasks)) - 1).otherwise(F.abs(F.xxhash64("sig", F.least("i", "j"), F.greatest("i", "j"))))
     rows = rows.select("sig", "key", "part", F.col("i").alias("side"), task.alias("task")).join(sketches, "key")
     return rows.groupBy("task").applyInArrow(_met(percent, forest), "a long, b long, na long, nb long").distinct()
 
 
 def _links(sets: DataFrame, members: DataFrame, percent: int, block: int, heavy: int = 4_000_000, every: bool = False) -> DataFrame:
-    """Links (a, b) between sets that connect all that link, or all links. Members (sig, hub, key) are the groups of sets of one signature.
+    """Links (a, b) between sets that connect all that link, or all links. Members (sig, hub, key) are the groups of sets.
 
     A group's sets meet its hub first, then the nearest of those that no link has joined yet, and last whatever
     is not joined; pairs that were refused once are not sent again."""
@@ -539,9 +541,22 @@ def _links(sets: DataFrame, members: DataFrame, percent: int, block: int, heavy:
     return found
 
 
+def _by_hub(members: DataFrame) -> DataFrame:
+    """Members (sig, hub, key) with the groups of one hub as one group, named after the hub, where all its pairs are no more than those
+    of the groups together. Near copies of one text share hundreds of signatures and would meet under each."""
+    squares = members.groupBy("sig", "hub").agg(F.count("*").alias("m")).groupBy("hub").agg(F.sum(F.col("m") * F.col("m")).alias("squares"))
+    once = materialize(members.select("hub", "key").distinct(), "by_hub")
+    whole = once.groupBy("hub").agg(F.count("*").alias("u")).join(squares, "hub").filter(F.col("u") * F.col("u") <= F.col("squares")).select("hub")
+    whole = materialize(whole, "whole_hubs")
+    merged = once.join(whole, "hub", "left_semi").select(F.col("hub").alias("sig"), "hub", "key")
+    out = materialize(merged.union(members.join(whole, "hub", "left_anti").select("sig", "hub", "key")), "groups")
+    discard(members, once, whole)
+    return out
+
+
 def _possible(docs: DataFrame, percent: int, shingle: int) -> tuple[DataFrame, ...]:
     """Every row (rid, doc_id, n, key); classes of equal sets (key, rid, n, least id); elements of the sets that may link; and
-    their groups (sig, hub, key): the sets that share a signature, and the one with the smallest key."""
+    their groups (sig, hub, key): the sets that share a signature, or one of the signatures with one hub, and the one with the smallest key, the hub."""
     spark = docs.sparkSession
     partitions = int(spark.conf.get("spark.sql.shuffle.partitions"))
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("rid", F.xxhash64("doc_id", "text"))
@@ -562,12 +577,14 @@ def _possible(docs: DataFrame, percent: int, shingle: int) -> tuple[DataFrame, .
     left = materialize(left.select("rid", "key"), "possible")
     sets = _pick(texts, left.select("rid"), blocks).select("text").mapInArrow(_class_rows(shingle), "key long, elements binary")
     sets = materialize(sets, "sets")
+    discard(texts, candidates, left)
 
     signs = materialize(sets.mapInArrow(_class_signatures(percent), "sig long, key long"), "signs")
     groups = signs.groupBy("sig").agg(F.count("*").alias("m"), F.min("key").alias("hub"), F.bit_xor(F.xxhash64("key")).alias("same")).filter("m > 1")
     groups = groups.groupBy("m", "hub", "same").agg(F.min("sig").alias("sig")).select("sig", "hub")  # signatures of the same sets are one group
     members = materialize(signs.join(groups, "sig").select("sig", "hub", "key"), "members")
-    return narrow, classes, sets, members
+    discard(signs)
+    return narrow, classes, sets, _by_hub(members)
 
 
 def _grouped(docs: DataFrame, percent: int, shingle: int, block: int) -> DataFrame:
@@ -575,6 +592,7 @@ def _grouped(docs: DataFrame, percent: int, shingle: int, block: int) -> DataFra
     narrow, classes, sets, members = _possible(docs, percent, shingle)
     linked = connected_components(_links(sets, members, percent, block)).withColumnRenamed("node", "key")
     linked = materialize(linked.join(classes.select("key", "least"), "key"), "linked")
+    discard(sets, members)
     least = linked.groupBy("component").agg(F.min("least").alias("c"))
     final = materialize(linked.join(least, "component").select("key", "component", "c"), "labels")
     named = classes.join(final, "key", "left").select("key", F.coalesce("component", "key").alias("group"), F.coalesce("c", "least").alias("c"))
@@ -604,14 +622,23 @@ def linked_classes(docs: DataFrame, percent: int = 80, shingle: int = 5, block:
     return pairs, rows
 
 
+def _without(rows: DataFrame, goes: DataFrame, words: int = 1 << 17) -> DataFrame:
+    """The rows whose rid is not in goes. Only rows whose bit is set among those of goes (words x 64 bits, broadcast) are shuffled."""
+    word, bit = F.pmod(F.shiftrightunsigned("rid", 6), F.lit(words)).alias("word"), F.col("rid").bitwiseAND(F.lit(63)).cast("int")
+    bits = materialize(goes.select(word, F.call_function("shiftleft", F.lit(1).cast("long"), bit).alias("b")).groupBy("word").agg(F.bit_or("b").alias("bits")), "bits")
+    marked = rows.withColumn("word", word).join(F.broadcast(bits), "word", "left")
+    marked = marked.withColumn("hit", F.call_function("shiftrightunsigned", F.coalesce("bits", F.lit(0).cast("long")), bit).bitwiseAND(F.lit(1).cast("long")) == 1)
+    return marked.filter(~F.col("hit")).select(*rows.columns).union(marked.filter("hit").select(*rows.columns).join(goes, "rid", "left_anti").select(*rows.columns))
+
+
 def keep_one(docs: DataFrame, percent: int = 80, shingle: int = 5, block: int = 1024) -> DataFrame:
     """The rows of docs, all columns as they are, less those linked with a kept one: of each group one row with
     its smallest id stays, and so do all rows without words."""
     grouped = materialize(_grouped(docs, percent, shingle, block), "grouped")
     first = materialize(grouped.filter(F.col("n") > 0).filter(F.col("doc_id").eqNullSafe(F.col("c"))).groupBy("group").agg(F.min("rid").alias("rid")).select("rid"), "first")
-    stays = first.union(grouped.filter("n = 0").select("rid").distinct())
+    goes = materialize(grouped.filter("n > 0").select("rid").distinct().join(first, "rid", "left_anti"), "goes")
     keyed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.xxhash64(F.col("doc_id").cast("long"), F.coalesce("text", F.lit(""))).alias("rid"))
-    kept = keyed.join(stays, "rid", "left_semi")
+    kept = _without(keyed, goes)
     again = grouped.filter("n > 0").groupBy("rid").agg(F.count("*").alias("m")).filter("m > 1").select("rid")
     again = materialize(again.join(first, "rid", "left_semi"), "again")  # rows that repeat as a whole
     if not again.isEmpty():

@@ -2,6 +2,7 @@
 
 import collections
 import math
+import pathlib
 import random
 import re
 
@@ -10,7 +11,7 @@ import pyarrow as pa
 import pytest
 
 import corpus_pipeline
-from pairlab.llm import fertility, gam_quality, licenses, mixing, partenum, rlz_dedup, secrets, textbatch, topk, toxicity, unigram
+from pairlab.llm import fertility, gam_quality, licenses, mixing, partenum, rlz_dedup, scratch, secrets, textbatch, topk, toxicity, unigram
 
 W = re.compile(r"[^\x20\x09-\x0D]+")
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, `row` int, rid int, `__n` int, base int, copies string, score double, label int"
@@ -213,6 +214,44 @@ def test_sets_are_sent_in_proportion(spark, monkeypatch, stage):
     assert 6 <= sent.value < 900
 
 
+def test_near_copies_of_one_text_meet_once_a_hub(spark, monkeypatch):
+    """Sets that share many signatures are sent once for each hub, not once for each signature (2532 rows; before: 13316), with the same links; what is no longer read goes from the disk."""
+    g = random.Random(4)
+    base = [f"w{k}" for k in range(300)]
+    docs = [(k, " ".join(w if g.random() > 0.03 else f"x{k}" for w in base)) for k in range(60)]
+    sets = {k: {tuple(t.split()[i : i + 5]) for i in range(296)} for k, t in docs}
+    pairs = [(a, b) for a in sets for b in sets if a < b and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])]
+    sent, plain = spark.sparkContext.accumulator(0), partenum._met
+
+    def counted(*a):
+        run = plain(*a)
+
+        def both(key, table):
+            sent.add(len(table))
+            return run(key, table)
+
+        return both
+
+    monkeypatch.setattr(partenum, "_met", counted)
+    folder = pathlib.Path(scratch.shared_dir(spark).removeprefix("file://")) / "pairlab-llm"
+    old = set(folder.iterdir()) if folder.exists() else set()
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    kept = {r.doc_id for r in partenum.keep_one(df).collect()}
+    assert kept == {reachable(pairs, k, 60) for k in range(60)}
+    assert 0 < sent.value < 4000
+    assert not {"texts", "sets", "signs", "members"} & {p.name.rsplit("-", 1)[0] for p in set(folder.iterdir()) - old}
+
+
+def test_rows_leave_by_bits_and_exactly(spark):
+    """Rows that share a bit with one that goes are told apart."""
+    rows = spark.range(-500, 500).selectExpr("struct(id) row", "xxhash64(id) rid")
+    goes = rows.filter("row.id % 9 = 0").select("rid")
+    want = [k for k in range(-500, 500) if k % 9]
+    for words in (1, 8, 1 << 17):
+        assert sorted(r.row.id for r in partenum._without(rows, goes, words).collect()) == want
+    assert sorted(r.row.id for r in partenum._without(rows, goes.limit(0)).collect()) == list(range(-500, 500))
+
+
 def test_parity_sketches_bound_the_difference():
     """Sketches of different lengths fold; a pair that links always passes, in one call or group by group, and a forest joins what all pairs join."""
     g = np.random.default_rng(5)
