@@ -40,8 +40,17 @@ from pairlab.llm.scratch import discard, materialize
 _U = np.uint64
 
 
-def shingle_sets(buf: np.ndarray, off: np.ndarray, shingle: int = 5) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted distinct shingle hashes of all texts (A-Z lower-cased), and where each text's begin."""
+def shingle_sets(buf: np.ndarray, off: np.ndarray, shingle: int = 5, most: int = 400_000) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct shingle hashes of all texts (A-Z lower-cased), and where each text's begin; worked out for about most bytes
+    at a time, as a byte takes some 13 on the way."""
+    got = [_shingle_sets(buf[off[a] : off[b]], off[a : b + 1] - off[a], shingle) for a, b in tb.chunks(off, most)]
+    if not got:
+        return np.zeros(0, _U), np.zeros(1, np.int64)
+    sizes = np.concatenate([np.diff(first) for _, first in got])
+    return np.concatenate([grams for grams, _ in got]), np.concatenate([[0], np.cumsum(sizes)])
+
+
+def _shingle_sets(buf: np.ndarray, off: np.ndarray, shingle: int) -> tuple[np.ndarray, np.ndarray]:
     low = tb.lower_ascii(buf)
     starts, ends, first = tb.words(low, off)
     h = tb.hash_spans(low, starts, ends)
@@ -77,7 +86,7 @@ def band_ends(largest: int, percent: int, ratio: float = 1.6) -> np.ndarray:
     return np.array(ends)
 
 
-def signatures(grams: np.ndarray, first: np.ndarray, percent: int = 80, most: int = 150_000) -> tuple[np.ndarray, np.ndarray]:
+def signatures(grams: np.ndarray, first: np.ndarray, percent: int = 80, most: int = 50_000) -> tuple[np.ndarray, np.ndarray]:
     """Signatures of all sets (sorted hashes, as of shingle_sets), and the set of each; worked out for about most elements at a time."""
     if not len(grams):
         return np.zeros(0, _U), np.zeros(0, np.int64)
@@ -473,7 +482,7 @@ def _verified(percent: int):
     def run(key, table):
         keys, other, elements = table.column("key").to_numpy(), table.column("other"), table.column("elements")
         pair = other.is_valid().to_numpy()
-        sets = {int(keys[k]): np.frombuffer(elements[k].as_py(), _U) for k in np.flatnonzero(~pair).tolist()}
+        sets = {int(keys[k]): np.frombuffer(elements[k].as_buffer(), _U) for k in np.flatnonzero(~pair).tolist()}  # no copies
         a, b = [], []
         for x, y in zip(keys[pair].tolist(), other.drop_null().to_pylist()):
             one, two = sets[x], sets[y]

@@ -5,6 +5,7 @@ import math
 import pathlib
 import random
 import re
+import tracemalloc
 
 import numpy as np
 import pyarrow as pa
@@ -179,6 +180,37 @@ def test_signatures_in_parts_are_the_same(odd):
     assert sorted(zip(*whole)) == sorted(zip(*parts))
 
 
+def test_sets_of_a_block_take_little_memory():
+    g = np.random.default_rng(3)
+    words = np.array([f"w{k:05d}" for k in range(5000)])
+    buf, off = textbatch.utf8(pa.array([" ".join(words[g.integers(0, 5000, 700)]) for _ in range(800)] + [None, "", "one two"], pa.string()))
+    tracemalloc.start()
+    grams, first = partenum.shingle_sets(buf, off)
+    _, peak = tracemalloc.get_traced_memory()
+    tracemalloc.stop()
+    assert peak < 8 * len(buf)
+    want, at = partenum._shingle_sets(buf, off, 5)
+    assert (grams == want).all() and (first == at).all() and np.diff(first)[-3:].tolist() == [0, 0, 1]
+
+
+def test_sets_of_no_rows():
+    grams, first = partenum.shingle_sets(*textbatch.utf8(pa.array([], pa.string())))
+    assert len(grams) == 0 and first.tolist() == [0]
+
+
+def test_python_gets_small_batches(spark):
+    before = spark.conf.get(scratch.BATCH)
+
+    def weigh(batches):
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([batch.num_rows]), pa.array([batch.nbytes])], names=["rows", "bytes"])
+
+    rows = spark.range(0, 6000, 1, 1).selectExpr("repeat(cast(id as string), 1000) as text")
+    got = scratch.materialize(rows.mapInArrow(weigh, "rows long, bytes long"), "weighed").collect()
+    assert sum(r.rows for r in got) == 6000 and max(r.bytes for r in got) < 6_000_000
+    assert spark.conf.get(scratch.BATCH) == before
+
+
 def test_packed_values_come_back():
     g = np.random.default_rng(2)
     value, key = g.integers(0, 2**64, 5000, np.uint64), g.integers(0, 40, 5000).astype(np.uint64)
